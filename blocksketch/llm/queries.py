@@ -7,10 +7,11 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .language_id import op8_language_bitmask
+from .near_dup import op10_fast_similarity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op8_language_bitmask": op8_language_bitmask}
+    return {"op8_language_bitmask": op8_language_bitmask, "op10_fast_similarity": op10_fast_similarity}
 
 
 def oracle_sql() -> dict[str, str]:
