@@ -4,14 +4,19 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import corpus_pipeline
 from pyspark.sql import DataFrame, SparkSession
 
 from .language_id import op8_language_bitmask
+from .mixing import op1_raked_mixture
 from .near_dup import op10_fast_similarity
+from .packing import op2_binary_lengths
+from .pii import op9_bootstrapped_context
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op8_language_bitmask": op8_language_bitmask, "op10_fast_similarity": op10_fast_similarity}
+    found = (op1_raked_mixture, op2_binary_lengths, op8_language_bitmask, op9_bootstrapped_context, op10_fast_similarity)
+    return {f.__name__: f for f in found} | {"pipeline": corpus_pipeline.run}
 
 
 def oracle_sql() -> dict[str, str]:
