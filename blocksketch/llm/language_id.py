@@ -31,14 +31,14 @@ ORDERS = (3, 4)
 _MUL = seeds("ngram", 8)
 
 
-def grams(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+def grams(words: list[str], orders: tuple[int, ...] = ORDERS) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of the n-grams of each word with a mark at either end, and the index of the word each belongs to."""
     text = "\0" + "\0".join(words) + "\0"
     code = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
     sep = code == 0
     word = np.cumsum(sep) - 1
     found, owner = [], []
-    for n in ORDERS:
+    for n in orders:
         m = len(code) - n + 1
         if m <= 0:
             continue
