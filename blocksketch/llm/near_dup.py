@@ -4,11 +4,13 @@ Texts with the same set of 5-word shingles form a class, told by a 128-bit sum o
 sketch of `size` coordinates comes from rounds of hashed bin placement (see shingles.sketches); `size / rows` bands of `rows`
 coordinates give buckets. At similarity 0.75 a pair shares no bucket with probability (1 - 0.75^4)^32 = 5e-6.
 
-A bucket of n classes is not expanded into all its pairs. Each class is first compared with its bucket's pivot, and links found
-are merged into components; then, while many pairs of a bucket still lie in different components, further pivots are drawn by
-hash. The pairs left over, those in one bucket but different components, are all compared, after a test on the sketches
-(agreement of at least 0.55; a pair at 0.75 fails it with probability 1e-7). So pairs that could change no component are
-skipped, and no other: nothing is capped. Links are confirmed on full sets of 64-bit shingle hashes.
+A bucket of n classes is not expanded into all its pairs. Each class is first compared with a few pivots of its buckets, drawn by
+hash, and the links found are merged into components. While that pays, further pivots are drawn from the buckets that hold more than
+one component. Then the pairs left over, those in one bucket but in different components, are all compared. So pairs that
+could change no component are skipped, and no other: nothing is capped.
+
+Before its full sets are fetched, a pair is tested on packed sketches of 4 bits a coordinate: at most 55 of 128 may differ, which a pair at
+0.75 fails with probability 1e-7. Links are confirmed on full sets of 64-bit shingle hashes.
 
 Defined results: null, empty or blank text has an empty set (n_shingles 0), is linked with nothing and kept; a text of fewer than
 five words has one shingle. Rows that share a doc_id count as one document; a null doc_id keeps its row but names no component.
@@ -23,20 +25,31 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Kept, table
+from .common import U64, Kept, mix, seeds, table
 from .components import components
 from .shingles import Words, chunks, set_hash, sketches
 
 
-def _features(size: int, width: int):
+NIBBLES = 0x1111111111111111  # the lowest bit of each of 16 nibbles
+
+
+def _features(size: int, width: int, rows: int):
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        salt = seeds("band", size // rows)
         for pdf in batches:
             for first, texts in chunks(pdf["text"]):
-                part = pdf.iloc[first : first + len(texts)]
                 h, doc = Words(texts).sets(width)
-                c1, c2 = set_hash(h, doc, len(texts))
                 n = np.bincount(doc, minlength=len(texts))
-                yield pd.DataFrame({"doc_id": part["doc_id"].to_numpy(), "n": n.astype(np.int64), "c1": c1, "c2": c2, "sketch": list(sketches(h, doc, len(texts), size))})
+                c1, c2 = set_hash(h, doc, len(texts))
+                s = sketches(h, doc, len(texts), size).view(np.uint32).astype(np.uint64)
+                bands = np.zeros((len(texts), size // rows), np.uint64)
+                for k in range(rows):
+                    bands = mix(bands + s[:, k::rows] + U64(1)) * salt
+                packed = np.zeros((len(texts), size // 16), np.uint64)
+                for k in range(16):
+                    packed |= (s[:, k :: 16] & U64(15)) << U64(4 * k)
+                out = {"doc_id": pdf["doc_id"].to_numpy()[first : first + len(texts)], "n": n, "c1": c1, "c2": c2, "bands": list(bands.view(np.int64))}
+                yield pd.DataFrame(out | {f"p{k}": packed[:, k].view(np.int64) for k in range(size // 16)})
 
     return run
 
@@ -52,30 +65,28 @@ def _sets(width: int):
     return run
 
 
-def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: int = 128, rows: int = 4, rounds: int = 6) -> DataFrame:
+def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: int = 128, rows: int = 4, rounds: int = 4) -> DataFrame:
     """docs(doc_id, text) to (doc_id, n_shingles, component_id, kept), one row per row of docs."""
-    spark = docs.sparkSession
-    keep = Kept(spark)
+    keep = Kept(docs.sparkSession)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    feats = keep.keep(docs.mapInPandas(_features(size, width), "doc_id long, n long, c1 long, c2 long, sketch array<int>"))
-    classes = keep.keep(feats.filter("n > 0").groupBy("c1", "c2", "n").agg(F.min("doc_id").alias("node")))
-    known = classes.filter("node is not null").withColumnsRenamed({"c1": "d1", "c2": "d2"}).drop("n")
+    ps = [f"p{k}" for k in range(size // 16)]
+    schema = "doc_id long, n long, c1 long, c2 long, bands array<long>, " + ", ".join(f"{p} long" for p in ps)
+    feats = keep.keep(docs.mapInPandas(_features(size, width, rows), schema))
+    classes = keep.keep(feats.filter("n > 0").groupBy("c1", "c2").agg(F.min("doc_id").alias("node")))
+    known = classes.filter("node is not null").withColumnsRenamed({"c1": "d1", "c2": "d2"})
     reps = feats.join(known, (F.col("doc_id") == F.col("node")) & (F.col("c1") == F.col("d1")) & (F.col("c2") == F.col("d2")))
-    reps = keep.keep(reps.select("node", "n", "sketch").dropDuplicates(["node"]))
+    bands = reps.dropDuplicates(["node"]).select("node", "n", *ps, F.posexplode("bands").alias("band", "key"))
+    shared = reps.select(F.posexplode("bands").alias("band", "key")).groupBy("band", "key").agg(F.count("*").alias("c")).filter("c > 1").drop("c")
+    cand = keep.keep(bands.join(shared, ["band", "key"]).withColumn("key", F.xxhash64("band", "key")).drop("band"))
+
+    differ = " + ".join(f"bit_count(((a.{p} ^ b.{p}) | shiftrightunsigned(a.{p} ^ b.{p}, 1) | shiftrightunsigned(a.{p} ^ b.{p}, 2) | shiftrightunsigned(a.{p} ^ b.{p}, 3)) & {NIBBLES}L)" for p in ps)
+    alike = F.expr(f"least(a.n, b.n) * 100 >= greatest(a.n, b.n) * {percent} and {differ} <= {int(size * 0.43)}")
+    pair = [F.least("a.node", "b.node").alias("a"), F.greatest("a.node", "b.node").alias("b")]
+    member = F.struct("node", "n", *ps)
 
-    parts = [F.xxhash64(F.lit(k), *[F.col("sketch")[k * rows + j] for j in range(rows)]) for k in range(size // rows)]
-    bands = reps.select("node", F.explode(F.array(*parts)).alias("key"))
-    shared = bands.groupBy("key").agg(F.count("*").alias("c"), F.min("node").alias("pivot")).filter("c > 1").drop("c")
-    cand = keep.keep(bands.join(shared, "key"))
     nodes = cand.select("node").distinct()
     sets = docs.filter("doc_id is not null").withColumnRenamed("doc_id", "node").join(nodes, "node", "left_semi")
     sets = keep.keep(sets.mapInPandas(_sets(width), "node long, members array<long>").dropDuplicates(["node"]))
-    sketch = keep.keep(reps.join(nodes, "node", "left_semi"))
-    like = F.expr("aggregate(zip_with(sa, sb, (x, y) -> if(x = y, 1, 0)), 0, (s, x) -> s + x)") >= int(0.55 * size)
-    sizes = (F.least("na", "nb") * 100 >= F.greatest("na", "nb") * percent) & like
-
-    def side(s: str, more: list[str]) -> DataFrame:
-        return sketch.select(F.col("node").alias(s), F.col("n").alias(f"n{s}"), F.col("sketch").alias(f"s{s}"), *more)
 
     def links(pairs: DataFrame) -> DataFrame:
         """Of pairs(a, b), those whose full sets are alike."""
@@ -84,46 +95,41 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
         common = F.size(F.array_intersect("ma", "mb"))
         return both.select("a", "b", common.alias("i"), (F.size("ma") + F.size("mb") - common).alias("u")).filter(F.col("i") * 100 >= F.col("u") * percent).select("a", "b")
 
-    def plausible(pairs: DataFrame) -> DataFrame:
-        return pairs.join(side("a", []), "a").join(side("b", []), "b").filter(sizes).select("a", "b")
-
-    first = cand.filter("node <> pivot").select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b")).distinct()
-    tested = [keep.keep(plausible(first))]
-    edges = [keep.keep(links(tested[0]))]
-    labels = None
+    drawn = [F.min(F.struct(F.xxhash64("node", F.lit(s)).alias("h"), member.alias("b"))).alias(f"d{s}") for s in range(3)]
+    pivots = cand.groupBy("key").agg(*drawn)
+    own = cand.select("key", member.alias("a")).join(pivots, "key")
+    nearest = own.groupBy("a").agg(*(F.min(f"d{s}").alias(f"d{s}") for s in range(3))).select("a", F.explode(F.array(*(f"d{s}.b" for s in range(3)))).alias("b"))
+    first = nearest.filter("a.node <> b.node").filter(alike).select(*pair).distinct()
+    labels = components(keep.keep(links(first)), keep)
+
+    def merged(more: DataFrame) -> DataFrame:
+        """Labels after more links between components."""
+        la, lb = (labels.select(F.col("node").alias(x), F.col("component").alias(f"c{x}")) for x in "ab")
+        lifted = more.join(la, "a", "left").join(lb, "b", "left").select(F.coalesce("ca", "a").alias("a"), F.coalesce("cb", "b").alias("b"))
+        new = keep.keep(components(keep.keep(lifted), keep))
+        over = new.select(F.col("node").alias("component"), F.col("component").alias("top"))
+        moved = labels.join(over, "component", "left").select("node", F.coalesce("top", "component").alias("component"))
+        return keep.keep(moved.union(new).distinct())
+
+    left = None
     for r in range(rounds + 1):
-        links_ = edges[0]
-        for x in edges[1:]:
-            links_ = links_.union(x)
-        labels = keep.keep(components(links_, keep))
-        named = cand.select("key", "node").join(labels, "node", "left").select("key", "node", F.coalesce("component", "node").alias("comp"))
-        named = keep.keep(named)
-        mixed = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo <> hi").select("key")
-        per = named.join(mixed, "key", "left_semi").groupBy("key", "comp").agg(F.count("*").alias("c"))
-        open_ = per.groupBy("key").agg(((F.sum("c") * F.sum("c") - F.sum(F.col("c") * F.col("c"))) / 2).alias("pairs"), F.sum("c").alias("c"))
-        todo = open_.agg(F.sum("pairs"), F.sum("c")).first()
+        named = cand.join(labels, "node", "left").withColumn("comp", F.coalesce("component", "node")).drop("component")
+        mixed = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.max_by(F.struct("node", "n", *ps, "comp"), F.xxhash64("node", F.lit(100 + r))).alias("b"), F.count("*").alias("c")).filter("lo <> hi")
+        rest = keep.keep(named.join(mixed.select("key", "b"), "key"))
+        per = rest.groupBy("key", "comp").agg(F.count("*").alias("c")).groupBy("key").agg(F.sum("c").alias("c"), F.sum(F.col("c") * F.col("c")).alias("q"))
+        todo = per.agg(F.sum((F.col("c") * F.col("c") - F.col("q")) / 2), F.sum("c")).first()
         if not todo[0]:
             break
-        rest = named.join(mixed, "key", "left_semi")
-        if r < rounds and todo[0] > 6 * todo[1]:
-            pivot = rest.groupBy("key").agg(F.max_by(F.struct("node", "comp"), F.xxhash64("node", F.lit(r))).alias("p"))
-            pairs = rest.join(pivot, "key").filter("comp <> p.comp").select(F.least("node", "p.node").alias("a"), F.greatest("node", "p.node").alias("b")).distinct()
-            for x in tested:
-                pairs = pairs.join(x, ["a", "b"], "left_anti")
-            new = keep.keep(plausible(pairs))
-            tested.append(new)
-            edges.append(keep.keep(links(new)))
+        if r < rounds and todo[0] > 4 * todo[1] and (left is None or todo[0] < 0.7 * left):
+            left = todo[0]
+            pairs = rest.select(F.struct("node", "n", *ps, "comp").alias("a"), "b").filter("a.comp <> b.comp").filter(alike).select(*pair).distinct()
+            labels = merged(links(pairs))
             continue
-        full = keep.keep(rest.join(sketch, "node"))
-        a = full.select("key", F.col("node").alias("a"), F.col("comp").alias("ca"), F.col("n").alias("na"), F.col("sketch").alias("sa"))
-        b = full.select("key", F.col("node").alias("b"), F.col("comp").alias("cb"), F.col("n").alias("nb"), F.col("sketch").alias("sb"))
-        pairs = a.join(b, (a["key"] == b["key"]) & (F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & sizes).select("a", "b").distinct()
-        for x in tested:
-            pairs = pairs.join(x, ["a", "b"], "left_anti")
-        last = links_.union(links(pairs))
-        labels = keep.keep(components(last, keep))
+        side = rest.drop("b")
+        pairs = side.alias("a").join(side.alias("b"), (F.col("a.key") == F.col("b.key")) & (F.col("a.node") < F.col("b.node")) & (F.col("a.comp") != F.col("b.comp")) & alike).select(*pair).distinct()
+        labels = merged(links(pairs))
         break
-    out = feats.select("doc_id", "n", "c1", "c2").join(classes.drop("n"), ["c1", "c2"], "left").join(labels, "node", "left")
+    out = feats.select("doc_id", "n", "c1", "c2").join(classes, ["c1", "c2"], "left").join(labels, "node", "left")
     component = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.coalesce("component", "node"))
     out = out.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))

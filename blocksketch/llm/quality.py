@@ -79,8 +79,8 @@ def trusted_flag(docs: DataFrame, labels: DataFrame, most: int = 2_000_000) -> D
     return out.withColumn("trusted", F.col("__good").isNotNull()).drop("__good")
 
 
-def ratios(flagged: DataFrame, bits: int = 18, smooth: float = 1.0) -> np.ndarray:
-    """The log ratio of each bucket, from flagged(text, trusted)."""
+def counts(flagged: DataFrame, bits: int) -> np.ndarray:
+    """n-grams of all and of trusted texts in each bucket, from flagged(text, trusted)."""
     size = 1 << bits
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -95,27 +95,32 @@ def ratios(flagged: DataFrame, bits: int = 18, smooth: float = 1.0) -> np.ndarra
         yield pd.DataFrame({"bucket": at, "raw": n[0][at], "target": n[1][at]})
 
     got = flagged.select("text", "trusted").mapInPandas(run, "bucket long, raw long, target long").groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target")).toPandas()
-    raw, target = np.full(size, smooth), np.full(size, smooth)
-    raw[got["bucket"]] += got["raw"]  # at most 2^bits rows
-    target[got["bucket"]] += got["target"]
-    if not len(got) or not got["target"].sum():
-        return np.zeros(size)
-    return np.log(target / target.sum()) - np.log(raw / raw.sum())
+    out = np.zeros((2, size))
+    out[0, got["bucket"]], out[1, got["bucket"]] = got["raw"], got["target"]  # at most 2^bits rows
+    return out
 
 
-def scored(flagged: DataFrame, ratio: np.ndarray) -> DataFrame:
-    """flagged(doc_id, text, trusted) to base counts and score."""
-    bits = len(ratio).bit_length() - 1
-    sent = flagged.sparkSession.sparkContext.broadcast(ratio.astype(np.float32))
+def scored(flagged: DataFrame, counted: np.ndarray, smooth: float = 1.0) -> DataFrame:
+    """flagged(doc_id, text, trusted) to base counts and score. A document's own n-grams are taken out of both multinomials, so a
+    trusted document scores as an unseen one would."""
+    size = counted.shape[1]
+    bits = size.bit_length() - 1
+    sent = flagged.sparkSession.sparkContext.broadcast(counted)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        raw, target = sent.value + smooth
+        sums = raw.sum(), target.sum()
         for pdf in batches:
             for first, texts in chunks(pdf["text"]):
                 part = pdf.iloc[first : first + len(texts)]
                 w = Words(texts, lower=False)
                 b, doc = buckets(w, bits)
                 number = np.bincount(doc, minlength=w.n)
-                score = np.bincount(doc, sent.value[b], w.n) / np.maximum(number, 1)
+                key, own = np.unique(doc * size + b, return_counts=True)
+                at, of = key % size, key // size
+                good = part["trusted"].to_numpy(bool)[of]
+                ratio = np.log((target[at] - own * good) / (sums[1] - number[of] * good)) - np.log((raw[at] - own) / (sums[0] - number[of])) if sums[1] > smooth * size else np.zeros(len(at))
+                score = np.bincount(of, own * ratio, w.n) / np.maximum(number, 1)
                 yield pd.DataFrame({"doc_id": part["doc_id"].to_numpy(), "trusted": part["trusted"].to_numpy(), "n_words": w.count} | base_counts(w) | {"score": score})
 
     return flagged.select("doc_id", "text", "trusted").mapInPandas(run, "doc_id long, trusted boolean, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, score double")
@@ -131,5 +136,5 @@ def decided(scores: DataFrame, spread: float = 4.0) -> DataFrame:
 
 def op3_likelihood_ratio(spark: SparkSession, sf_dir: str) -> DataFrame:
     flagged = trusted_flag(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "labels"))
-    out = decided(Kept(spark).keep(scored(flagged, ratios(flagged))))
+    out = decided(Kept(spark).keep(scored(flagged, counts(flagged, bits=16))))
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "score")

@@ -12,10 +12,12 @@ from .mixing import op1_raked_mixture
 from .near_dup import op10_fast_similarity
 from .packing import op2_binary_lengths
 from .pii import op9_bootstrapped_context
+from .quality import op3_likelihood_ratio
+from .toxicity import op4_positive_unlabelled
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = (op1_raked_mixture, op2_binary_lengths, op8_language_bitmask, op9_bootstrapped_context, op10_fast_similarity)
+    found = (op1_raked_mixture, op2_binary_lengths, op3_likelihood_ratio, op4_positive_unlabelled, op8_language_bitmask, op9_bootstrapped_context, op10_fast_similarity)
     return {f.__name__: f for f in found} | {"pipeline": corpus_pipeline.run}
 
 
