@@ -96,7 +96,6 @@ class Windows:
     def hash(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
         return mix((self.sums[end] - self.sums[start]) * self._inverses[start])
 
-    def every(self, width: int) -> np.ndarray:
-        """The hash of each window of this width."""
-        n = len(self.sums) - width
-        return mix((self.sums[width:] - self.sums[:n]) * self._inverses[:n])
+    def every(self, width: int, begin: int, end: int) -> np.ndarray:
+        """The hash of each window of this width that starts in [begin, end)."""
+        return mix((self.sums[begin + width : end + width] - self.sums[begin:end]) * self._inverses[begin:end])
