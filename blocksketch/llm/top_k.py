@@ -57,7 +57,7 @@ def _tile(k: int, run: int):
             s, ids = matrix(part["v"], width), part["vec_id"].to_numpy()
             exact = np.abs(q).max(initial=0) * np.abs(s).max(initial=0) * max(width, 1) < 2**53
             p = (q @ s.T).astype(np.int64) if exact else (np.vectorize(int, otypes=[object])(q) @ np.vectorize(int, otypes=[object])(s).T).astype(np.int64)
-            p[qid[:, None] == ids[None, :]] = np.iinfo(np.int64).min
+            p[qid[:, None] == ids[None, :]] = np.iinfo(np.int64).min + 1
             if len(ids) > k:
                 least = -np.partition(-p, k - 1, axis=1)[:, k - 1 : k]  # the k-th best: all as good as it stay, for ties
                 at, of = np.nonzero(p >= least)
