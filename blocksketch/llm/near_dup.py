@@ -1,16 +1,17 @@
 """Near-duplicate documents by fast similarity sketching, banding and exact verification.
 
 Texts with the same set of 5-word shingles form a class, told by a 128-bit sum over the set; one class member goes on. Its
-sketch of `size` coordinates comes from rounds of hashed bin placement (see shingles.sketches); `size / rows` bands of `rows`
-coordinates give buckets. At similarity 0.75 a pair shares no bucket with probability (1 - 0.75^4)^32 = 5e-6.
+sketch of `size` coordinates comes from rounds of hashed bin placement (see shingles.sketches); the first `bands * rows` of them
+give buckets. At similarity 0.75 a pair shares no bucket with probability (1 - 0.75^4)^32 = 5e-6.
 
 A bucket of n classes is not expanded into all its pairs. Each class is first compared with a few pivots of its buckets, drawn by
 hash, and the links found are merged into components. While that pays, further pivots are drawn from the buckets that hold more than
 one component. Then the pairs left over, those in one bucket but in different components, are all compared. So pairs that
 could change no component are skipped, and no other: nothing is capped.
 
-Before its full sets are fetched, a pair is tested on packed sketches of 4 bits a coordinate: at most 55 of 128 may differ, which a pair at
-0.75 fails with probability 1e-7. Links are confirmed on full sets of 64-bit shingle hashes.
+Before its full sets are fetched, a pair is tested on packed sketches of 2 bits a coordinate: at most 140 of 512 may differ, where a pair at
+0.75 expects 96 with deviation 8.8. Of the buckets that a pair shares, only the first yields it. Links are confirmed on full sets of
+64-bit shingle hashes.
 
 Defined results: null, empty or blank text has an empty set (n_shingles 0), is linked with nothing and kept; a text of fewer than
 five words has one shingle. Rows that share a doc_id count as one document; a null doc_id keeps its row but names no component.
@@ -30,26 +31,27 @@ from .components import components
 from .shingles import Words, chunks, set_hash, sketches
 
 
-NIBBLES = 0x1111111111111111  # the lowest bit of each of 16 nibbles
+EVEN = 0x5555555555555555  # the lower bit of each pair of bits
 
 
-def _features(size: int, width: int, rows: int):
+def _features(size: int, width: int, bands: int, rows: int):
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        salt = seeds("band", size // rows)
+        salt = seeds("band", bands)
         for pdf in batches:
             for first, texts in chunks(pdf["text"]):
                 h, doc = Words(texts).sets(width)
                 n = np.bincount(doc, minlength=len(texts))
                 c1, c2 = set_hash(h, doc, len(texts))
                 s = sketches(h, doc, len(texts), size).view(np.uint32).astype(np.uint64)
-                bands = np.zeros((len(texts), size // rows), np.uint64)
+                keys = np.zeros((len(texts), bands), np.uint64)
                 for k in range(rows):
-                    bands = mix(bands + s[:, k::rows] + U64(1)) * salt
-                packed = np.zeros((len(texts), size // 16), np.uint64)
-                for k in range(16):
-                    packed |= (s[:, k :: 16] & U64(15)) << U64(4 * k)
-                out = {"doc_id": pdf["doc_id"].to_numpy()[first : first + len(texts)], "n": n, "c1": c1, "c2": c2, "bands": list(bands.view(np.int64))}
-                yield pd.DataFrame(out | {f"p{k}": packed[:, k].view(np.int64) for k in range(size // 16)})
+                    keys = mix(keys + s[:, k * bands : (k + 1) * bands] + U64(1)) * salt
+                bits = np.zeros((len(texts), size // 32), np.uint64)
+                for k in range(32):
+                    bits |= (s[:, k :: 32] & U64(3)) << U64(2 * k)
+                prints = (keys[:, 0::2] >> U64(32)) | (keys[:, 1::2] & U64(0xFFFFFFFF00000000))
+                out = {"doc_id": pdf["doc_id"].to_numpy()[first : first + len(texts)], "n": n, "c1": c1, "c2": c2, "bands": list(keys.view(np.int64)), "prints": list(prints.view(np.int64))}
+                yield pd.DataFrame(out | {f"p{k}": bits[:, k].view(np.int64) for k in range(size // 32)})
 
     return run
 
@@ -65,22 +67,22 @@ def _sets(width: int):
     return run
 
 
-def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: int = 128, rows: int = 4, rounds: int = 4) -> DataFrame:
+def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: int = 512, bands: int = 32, rows: int = 4, rounds: int = 4) -> DataFrame:
     """docs(doc_id, text) to (doc_id, n_shingles, component_id, kept), one row per row of docs."""
     keep = Kept(docs.sparkSession)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    ps = [f"p{k}" for k in range(size // 16)]
-    schema = "doc_id long, n long, c1 long, c2 long, bands array<long>, " + ", ".join(f"{p} long" for p in ps)
-    feats = keep.keep(docs.mapInPandas(_features(size, width, rows), schema))
+    ps = [f"p{k}" for k in range(size // 32)]
+    schema = "doc_id long, n long, c1 long, c2 long, bands array<long>, prints array<long>, " + ", ".join(f"{p} long" for p in ps)
+    feats = keep.keep(docs.mapInPandas(_features(size, width, bands, rows), schema))
     classes = keep.keep(feats.filter("n > 0").groupBy("c1", "c2").agg(F.min("doc_id").alias("node")))
     known = classes.filter("node is not null").withColumnsRenamed({"c1": "d1", "c2": "d2"})
     reps = feats.join(known, (F.col("doc_id") == F.col("node")) & (F.col("c1") == F.col("d1")) & (F.col("c2") == F.col("d2")))
-    bands = reps.dropDuplicates(["node"]).select("node", "n", *ps, F.posexplode("bands").alias("band", "key"))
+    rows_ = reps.dropDuplicates(["node"]).select("node", "n", *ps, F.posexplode("bands").alias("band", "key"))
     shared = reps.select(F.posexplode("bands").alias("band", "key")).groupBy("band", "key").agg(F.count("*").alias("c")).filter("c > 1").drop("c")
-    cand = keep.keep(bands.join(shared, ["band", "key"]).withColumn("key", F.xxhash64("band", "key")).drop("band"))
+    cand = keep.keep(rows_.join(shared, ["band", "key"]).withColumn("key", F.xxhash64("band", "key")))
 
-    differ = " + ".join(f"bit_count(((a.{p} ^ b.{p}) | shiftrightunsigned(a.{p} ^ b.{p}, 1) | shiftrightunsigned(a.{p} ^ b.{p}, 2) | shiftrightunsigned(a.{p} ^ b.{p}, 3)) & {NIBBLES}L)" for p in ps)
-    alike = F.expr(f"least(a.n, b.n) * 100 >= greatest(a.n, b.n) * {percent} and {differ} <= {int(size * 0.43)}")
+    differ = " + ".join(f"bit_count(((a.{p} ^ b.{p}) | shiftrightunsigned(a.{p} ^ b.{p}, 1)) & {EVEN}L)" for p in ps)
+    alike = F.expr(f"least(a.n, b.n) * 100 >= greatest(a.n, b.n) * {percent} and {differ} <= {int(size * 0.2745)}")
     pair = [F.least("a.node", "b.node").alias("a"), F.greatest("a.node", "b.node").alias("b")]
     member = F.struct("node", "n", *ps)
 
@@ -125,8 +127,10 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
             pairs = rest.select(F.struct("node", "n", *ps, "comp").alias("a"), "b").filter("a.comp <> b.comp").filter(alike).select(*pair).distinct()
             labels = merged(links(pairs))
             continue
-        side = rest.drop("b")
-        pairs = side.alias("a").join(side.alias("b"), (F.col("a.key") == F.col("b.key")) & (F.col("a.node") < F.col("b.node")) & (F.col("a.comp") != F.col("b.comp")) & alike).select(*pair).distinct()
+        prints = reps.dropDuplicates(["node"]).select("node", *(F.col("prints")[k].alias(f"f{k}") for k in range(bands // 2)))
+        side = keep.keep(rest.drop("b").join(prints, "node"))
+        earlier = F.expr(" and ".join(f"(a.band <= {k} or (a.f{k // 2} ^ b.f{k // 2}) & {0xFFFFFFFF if k % 2 == 0 else 0x7FFFFFFF00000000}L <> 0{'' if k % 2 == 0 else f' or (a.f{k // 2} < 0) <> (b.f{k // 2} < 0)'})" for k in range(bands - 1)))
+        pairs = side.alias("a").join(side.alias("b"), (F.col("a.key") == F.col("b.key")) & (F.col("a.node") < F.col("b.node")) & (F.col("a.comp") != F.col("b.comp")) & alike & earlier).select(*pair).distinct()
         labels = merged(links(pairs))
         break
     out = feats.select("doc_id", "n", "c1", "c2").join(classes, ["c1", "c2"], "left").join(labels, "node", "left")
