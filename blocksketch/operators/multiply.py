@@ -75,10 +75,10 @@ def dense_block_multiply(a: CoordMatrix, b: CoordMatrix, block: int) -> CoordMat
 
 def sketched_partials(left: DataFrame, right: DataFrame, b: int, half: bool = False) -> DataFrame:
     """(bi, bj, k, i, j, v): each slice's estimate of each entry. left (i, k, h, v), right (k, h, j, v); half: only cells with bi <= bj."""
-    right = right.select("k", "h", "j", F.col("v").alias("w"))
+    right = right.select(F.col("k").alias("rk"), F.col("h").alias("rh"), "j", F.col("v").alias("w"))
     bi, bj = (F.col("i") / b).cast("int"), (F.col("j") / b).cast("int")
-    on = [left["k"] == right["k"], left["h"] == right["h"]] + ([bi <= bj] if half else [])
-    both = left.join(right, on).select(bi.alias("bi"), bj.alias("bj"), left["k"], "i", "j", (F.col("v") * F.col("w")).alias("v"))
+    on = (F.col("k") == F.col("rk")) & (F.col("h") == F.col("rh"))
+    both = left.join(right, on & (bi <= bj) if half else on).select(bi.alias("bi"), bj.alias("bj"), "k", "i", "j", (F.col("v") * F.col("w")).alias("v"))
     return both.groupBy("bi", "bj", "k", "i", "j").agg(F.sum("v").alias("v"))
 
 
