@@ -194,14 +194,14 @@ def rbs_sketch_loss(spark, d):
     return _rbs(spark, d, Policy("all"), N + 1, lambda log: straggler.sketch_losses(log, lost))
 
 
-def _gram_sql(e: int, out: str = "SELECT i, j, v_hat, n_survivors FROM both", width: int = B, slices: int = N, shared: bool = False) -> str:
+def _gram_sql(e: int, out: str = "SELECT i, j, v_hat, n_survivors FROM whole", width: int = B, slices: int = N, shared: bool = False) -> str:
     k, cells = slices + e, blocks_of(SUPPLIERS, width)
     alive = sql.survivors(f"r <= n - {e}")
     if shared:
         alive = f"alive AS (SELECT bi, bj, k, t_ms FROM tasks WHERE k IN (SELECT k FROM (SELECT k, row_number() OVER (ORDER BY max(t_ms), k) AS r FROM tasks GROUP BY k) WHERE r <= {slices}))"
     return f"""WITH {sql.family(k)}, {sql.with_('f1')}, {sql.log(cells, cells, k)}, {alive}, sa AS ({sql.sketch('f1', width)}), sb AS (SELECT i AS j, k, h, v FROM sa),
     {sql.estimate('sa', 'sb', width)}, upper AS (SELECT * FROM guessed WHERE i // {width} <= j // {width}),
-    both AS (SELECT * FROM upper UNION ALL SELECT j, i, v_hat, n_survivors FROM upper WHERE i // {width} < j // {width}) {out}"""
+    whole AS (SELECT * FROM upper UNION ALL SELECT j, i, v_hat, n_survivors FROM upper WHERE i // {width} < j // {width}) {out}"""
 
 
 def _gram(spark, d, e: int, slices: int = N, policy: Policy | None = None):
@@ -232,7 +232,7 @@ def flagship(spark, d):
 
 
 _EXACT_GRAM = f"exact AS ({sql.gram('f1')})"
-_ERR = "SELECT round(sqrt(sum(power(coalesce(x.v, 0) - coalesce(g.v_hat, 0), 2))) / sqrt(sum(power(coalesce(x.v, 0), 2))), 6) AS rel_frob FROM exact x FULL JOIN both g ON x.i = g.i AND x.j = g.j"
+_ERR = "SELECT round(sqrt(sum(power(coalesce(x.v, 0) - coalesce(g.v_hat, 0), 2))) / sqrt(sum(power(coalesce(x.v, 0), 2))), 6) AS rel_frob FROM exact x FULL JOIN whole g ON x.i = g.i AND x.j = g.j"
 
 
 @query(" UNION ALL ".join(f"SELECT {e} AS e, rel_frob FROM ({_gram_sql(e, ', ' + _EXACT_GRAM + ' ' + _ERR)})" for e in (0, 1, 2, 4)))
