@@ -77,16 +77,23 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
     classes = keep.keep(feats.filter("n > 0").groupBy("c1", "c2").agg(F.min("doc_id").alias("node")))
     known = classes.filter("node is not null").withColumnsRenamed({"c1": "d1", "c2": "d2"})
     reps = feats.join(known, (F.col("doc_id") == F.col("node")) & (F.col("c1") == F.col("d1")) & (F.col("c2") == F.col("d2")))
-    rows_ = reps.dropDuplicates(["node"]).select("node", "n", *ps, F.posexplode("bands").alias("band", "key"))
-    shared = reps.select(F.posexplode("bands").alias("band", "key")).groupBy("band", "key").agg(F.count("*").alias("c")).filter("c > 1").drop("c")
-    cand = keep.keep(rows_.join(shared, ["band", "key"]).withColumn("key", F.xxhash64("band", "key")))
+    reps = keep.keep(reps.dropDuplicates(["node"]).select("node", "n", *ps, "bands", "prints"))
+    each = reps.select("node", F.posexplode("bands").alias("band", "key"))
+    shared = each.groupBy("band", "key").agg(F.count("*").alias("c")).filter("c > 1").drop("c")
+    cand = keep.keep(each.join(shared, ["band", "key"]).withColumn("key", F.xxhash64("band", "key")))
+    nodes = cand.select("node").distinct()
+    known = keep.keep(reps.join(nodes, "node", "left_semi").drop("bands"))
 
     differ = " + ".join(f"bit_count(((a.{p} ^ b.{p}) | shiftrightunsigned(a.{p} ^ b.{p}, 1)) & {EVEN}L)" for p in ps)
     alike = F.expr(f"least(a.n, b.n) * 100 >= greatest(a.n, b.n) * {percent} and {differ} <= {int(size * 0.2745)}")
     pair = [F.least("a.node", "b.node").alias("a"), F.greatest("a.node", "b.node").alias("b")]
-    member = F.struct("node", "n", *ps)
 
-    nodes = cand.select("node").distinct()
+    def plausible(pairs: DataFrame) -> DataFrame:
+        """Of pairs(a, b), those whose sketches are alike."""
+        side = lambda x: known.select(F.struct("node", "n", *ps).alias(x))
+        pairs = pairs.select(F.col("a").alias("__a"), F.col("b").alias("__b")).distinct()
+        return pairs.join(side("a"), F.col("__a") == F.col("a.node")).join(side("b"), F.col("__b") == F.col("b.node")).filter(alike).select(*pair)
+
     sets = docs.filter("doc_id is not null").withColumnRenamed("doc_id", "node").join(nodes, "node", "left_semi")
     sets = keep.keep(sets.mapInPandas(_sets(width), "node long, members array<long>").dropDuplicates(["node"]))
 
@@ -97,11 +104,10 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
         common = F.size(F.array_intersect("ma", "mb"))
         return both.select("a", "b", common.alias("i"), (F.size("ma") + F.size("mb") - common).alias("u")).filter(F.col("i") * 100 >= F.col("u") * percent).select("a", "b")
 
-    drawn = [F.min(F.struct(F.xxhash64("node", F.lit(s)).alias("h"), member.alias("b"))).alias(f"d{s}") for s in range(3)]
-    pivots = cand.groupBy("key").agg(*drawn)
-    own = cand.select("key", member.alias("a")).join(pivots, "key")
+    drawn = [F.min(F.struct(F.xxhash64("node", F.lit(s)).alias("h"), F.col("node").alias("b"))).alias(f"d{s}") for s in range(3)]
+    own = cand.select("key", F.col("node").alias("a")).join(cand.groupBy("key").agg(*drawn), "key")
     nearest = own.groupBy("a").agg(*(F.min(f"d{s}").alias(f"d{s}") for s in range(3))).select("a", F.explode(F.array(*(f"d{s}.b" for s in range(3)))).alias("b"))
-    first = nearest.filter("a.node <> b.node").filter(alike).select(*pair).distinct()
+    first = plausible(nearest.filter("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")))
     labels = components(keep.keep(links(first)), keep)
 
     def merged(more: DataFrame) -> DataFrame:
@@ -116,7 +122,7 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
     left = None
     for r in range(rounds + 1):
         named = cand.join(labels, "node", "left").withColumn("comp", F.coalesce("component", "node")).drop("component")
-        mixed = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.max_by(F.struct("node", "n", *ps, "comp"), F.xxhash64("node", F.lit(100 + r))).alias("b"), F.count("*").alias("c")).filter("lo <> hi")
+        mixed = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.max_by(F.struct("node", "comp"), F.xxhash64("node", F.lit(100 + r))).alias("b")).filter("lo <> hi")
         rest = keep.keep(named.join(mixed.select("key", "b"), "key"))
         per = rest.groupBy("key", "comp").agg(F.count("*").alias("c")).groupBy("key").agg(F.sum("c").alias("c"), F.sum(F.col("c") * F.col("c")).alias("q"))
         todo = per.agg(F.sum((F.col("c") * F.col("c") - F.col("q")) / 2), F.sum("c")).first()
@@ -124,11 +130,12 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
             break
         if r < rounds and todo[0] > 4 * todo[1] and (left is None or todo[0] < 0.7 * left):
             left = todo[0]
-            pairs = rest.select(F.struct("node", "n", *ps, "comp").alias("a"), "b").filter("a.comp <> b.comp").filter(alike).select(*pair).distinct()
-            labels = merged(links(pairs))
+            pairs = rest.filter("comp <> b.comp").select(F.least("node", "b.node").alias("a"), F.greatest("node", "b.node").alias("b"))
+            labels = merged(links(plausible(pairs)))
+            keep.drop(rest)
             continue
-        prints = reps.dropDuplicates(["node"]).select("node", *(F.col("prints")[k].alias(f"f{k}") for k in range(bands // 2)))
-        side = keep.keep(rest.drop("b").join(prints, "node"))
+        prints = [F.col("prints")[k].alias(f"f{k}") for k in range(bands // 2)]
+        side = rest.select("band", "key", "node", "comp").join(known.select("node", "n", *ps, *prints), "node")
         earlier = F.expr(" and ".join(f"(a.band <= {k} or (a.f{k // 2} ^ b.f{k // 2}) & {0xFFFFFFFF if k % 2 == 0 else 0x7FFFFFFF00000000}L <> 0{'' if k % 2 == 0 else f' or (a.f{k // 2} < 0) <> (b.f{k // 2} < 0)'})" for k in range(bands - 1)))
         pairs = side.alias("a").join(side.alias("b"), (F.col("a.key") == F.col("b.key")) & (F.col("a.node") < F.col("b.node")) & (F.col("a.comp") != F.col("b.comp")) & alike & earlier).select(*pair).distinct()
         labels = merged(links(pairs))

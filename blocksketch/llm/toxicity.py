@@ -67,14 +67,16 @@ class Classifier:
         return 1 / (1 + np.exp(-np.clip(z, -60, 60)))
 
 
-def train(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: float, bits: int, select: int = 4096, rounds: int = 200, rate: float = 0.1, decay: float = 1e-4, slack: float = 0.0) -> Classifier:
+def train(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: float, bits: int, select: int = 1024, purity: float = 0.0, rounds: int = 200, rate: float = 0.1, decay: float = 1e-4, slack: float = 0.0) -> Classifier:
     """Non-negative risk, by Adam over all rows in each round."""
     if not positive or not unlabelled:
         return Classifier(bits, np.zeros(0, np.int64), np.zeros(0), 0.0)
     size = 1 << bits
     np_, nu = (np.bincount(np.concatenate(x), minlength=size) if sum(map(len, x)) else np.zeros(size) for x in (positive, unlabelled))
     gain = np_ * np.abs(np.log((np_ + 0.5) / (len(positive) + 1)) - np.log((nu + 0.5) / (len(unlabelled) + 1)))
-    gain[np_ < 3] = 0
+    # The toxic share among documents with a feature, as the prior and both samples tell it, with a deviation's benefit to the doubt against it.
+    pure = prior * (np_ / len(positive)) / ((nu + np.sqrt(nu + 1)) / len(unlabelled))
+    gain[(np_ < 4) | (pure < purity)] = 0
     known = np.sort(np.argsort(-gain, kind="stable")[:select])
     known = known[gain[known] > 0]
 
