@@ -139,51 +139,60 @@ def learn(train: DataFrame, bits: int = 20, hashes: int = 3, min_count: int = 2,
     return Filters(languages, words, bits, hashes)
 
 
-def predict(docs: DataFrame, filters: Filters, text: str = "text", others: list[str] | None = None) -> DataFrame:
-    """docs' columns `others` (default: all but the text) with lang_pred string and score double for every row."""
-    others = [c for c in docs.columns if c != text] if others is None else others
-    spark = docs.sparkSession
-    sent = spark.sparkContext.broadcast(filters)  # 2^bits cells of 8 bytes for each 64 languages
+class Verdicts:
+    """Language and score of texts, with a cache of words that belongs to one task."""
+
+    def __init__(self, filters: Filters):
+        self.f, self.known = filters, {}
+        self.votes = np.zeros((0, len(filters.languages) + 2))  # per word: counts by language, number of n-grams, whether it has a letter
+
+    def of(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+        f, langs, n = self.f, len(self.f.languages), len(texts)
+        ids, owner, new = [], [], []
+        for i, t in enumerate(texts):
+            words = WORD.findall(t.lower()) if t else ()
+            owner.append(np.full(len(words), i))
+            for w in words:
+                k = self.known.get(w)
+                if k is None:
+                    k = self.known[w] = len(self.known)
+                    new.append(w)
+                ids.append(k)
+        if new:
+            h, of = grams(new)
+            more = np.zeros((len(new), langs + 2))
+            for j, m in enumerate(f.member(h)):
+                more[:, j] = np.bincount(of, m, len(new))
+            more[:, langs] = np.bincount(of, minlength=len(new))
+            more[:, langs + 1] = [any(map(str.isalpha, w)) for w in new]
+            self.votes = np.concatenate([self.votes, more])
+        owner = np.concatenate(owner) if owner else np.zeros(0, np.int64)
+        got = np.stack([np.bincount(owner, self.votes[ids, j], n) for j in range(langs + 2)]) if ids else np.zeros((langs + 2, n))
+        if len(self.known) > 300_000:
+            self.known, self.votes = {}, self.votes[:0]
+        if not langs:
+            return np.full(n, "und", object), np.zeros(n)
+        total, letters = np.maximum(got[langs], 1), got[langs + 1] > 0
+        share = np.clip((got[:langs] / total - f.false[:, None]) / (1 - np.minimum(f.false, 0.999))[:, None], 0, 1)
+        best = share.argmax(0)  # the first of equals: the more frequent language
+        return np.where(letters, np.array(f.languages, object)[best], "und"), np.where(letters, share.max(0), 0.0)
+
+
+def predict(docs: DataFrame, filters: Filters) -> DataFrame:
+    """All columns of docs but the text, with lang_pred string and score double for every row; columns of these names are replaced."""
+    others = [c for c in docs.columns if c not in ("text", "lang_pred", "score")]
+    sent = docs.sparkSession.sparkContext.broadcast(filters)  # 2^bits cells of 8 bytes for each 64 languages
     schema = ", ".join([*(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in others), "lang_pred string", "score double"])
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        f: Filters = sent.value
-        langs = len(f.languages)
-        known: dict[str, int] = {}
-        votes = np.zeros((0, langs + 2))  # per word: counts by language, number of n-grams, whether it has a letter
+        v = Verdicts(sent.value)
         for pdf in batches:
-            ids, owner, new = [], [], []
-            for i, t in enumerate(pdf[text]):
-                for w in WORD.findall(t.lower()) if t else ():
-                    k = known.get(w)
-                    if k is None:
-                        k = known[w] = len(known)
-                        new.append(w)
-                    ids.append(k)
-                    owner.append(i)
-            if new:
-                h, of = grams(new)
-                more = np.zeros((len(new), langs + 2))
-                for j, m in enumerate(f.member(h)):
-                    more[:, j] = np.bincount(of, m, len(new))
-                more[:, langs] = np.bincount(of, minlength=len(new))
-                more[:, langs + 1] = [any(map(str.isalpha, w)) for w in new]
-                votes = np.concatenate([votes, more])
-            n = len(pdf)
-            got = np.stack([np.bincount(owner, votes[ids, j], n) for j in range(langs + 2)]) if ids else np.zeros((langs + 2, n))
-            total, letters = np.maximum(got[langs], 1), got[langs + 1] > 0
-            if langs:
-                share = np.clip((got[:langs] / total - f.false[:, None]) / (1 - np.minimum(f.false, 0.999))[:, None], 0, 1)
-                best = share.argmax(0)  # the first of equals: the more frequent language
-                pred = np.where(letters, np.array(f.languages, object)[best], "und")
-                score = np.where(letters, share.max(0), 0.0)
-            else:
-                pred, score = np.full(n, "und", object), np.zeros(n)
-            yield pdf[others].assign(lang_pred=pred, score=score)
-            if len(known) > 300_000:
-                known, votes = {}, votes[:0]
-
-    return docs.select(*others, text).mapInPandas(run, schema)
+            for k in range(0, len(pdf), 512):
+                part = pdf.iloc[k : k + 512]
+                pred, score = v.of(part["text"].tolist())
+                yield part[others].assign(lang_pred=pred, score=score)
+
+    return docs.select(*others, "text").mapInPandas(run, schema)
 
 
 def held_out() -> F.Column:
@@ -201,5 +210,14 @@ def reject_unknown(spark: SparkSession, docs: DataFrame, sf_dir: str | None = No
     """Pipeline stage: keeps documents in which some language holds at least the share `least` of n-grams; und goes. All columns stay."""
     filters = learn(docs.filter(~held_out()).select("text", "lang"))
     names = docs.columns
-    scored = predict(docs.select(*names, F.col("text").alias("__text")), filters, text="__text")
-    return scored.filter((F.col("lang_pred") != "und") & (F.col("score") >= least)).select(*names)
+    sent = spark.sparkContext.broadcast(filters)
+
+    @F.pandas_udf("lang_pred string, score double")
+    def verdict(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+        v = Verdicts(sent.value)
+        for texts in batches:
+            got = [v.of(texts.tolist()[k : k + 512]) for k in range(0, len(texts), 512)] or [v.of([])]
+            yield pd.DataFrame({"lang_pred": np.concatenate([x[0] for x in got]), "score": np.concatenate([x[1] for x in got])})
+
+    scored = docs.withColumn("__verdict", verdict("text"))
+    return scored.filter((F.col("__verdict.lang_pred") != "und") & (F.col("__verdict.score") >= least)).select(*names)

@@ -125,23 +125,23 @@ def probabilities(described_docs: DataFrame, rate: float = 0.5, temper: float =
 
 
 def drawn(docs: DataFrame, cells: DataFrame, seed: int = 1, most: int = 1_000_000) -> DataFrame:
-    """Described documents with weight, prob and sampled."""
+    """Described documents with __weight, __prob and __sampled."""
     names = [f"__{d}" for d in DIMENSIONS]
-    cells = cells.select(*names, "weight", "prob")
+    cells = cells.select(*names, F.col("weight").alias("__weight"), F.col("prob").alias("__prob"))
     few = cells.count() <= most
     uniform = F.shiftrightunsigned(F.xxhash64("doc_id", F.lit(seed)), 11).cast("double") / F.lit(float(1 << 53))
-    return docs.join(F.broadcast(cells) if few else cells, names).withColumn("sampled", uniform < F.col("prob"))
+    return docs.join(F.broadcast(cells) if few else cells, names).withColumn("__sampled", uniform < F.col("__prob"))
 
 
 def op1_raked_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = described(table(spark, sf_dir, "documents").select("doc_id", "text", "source", "lang")).select("doc_id", "__source", "__lang", "__topic", "__tokens")
     docs = Kept(spark).keep(docs)
     out = drawn(docs, probabilities(docs))
-    return out.select("doc_id", F.col("__source").alias("source"), F.col("__lang").alias("lang"), F.col("__topic").alias("topic"), F.col("__tokens").alias("n_tokens"), "weight", "prob", "sampled")
+    return out.select("doc_id", F.col("__source").alias("source"), F.col("__lang").alias("lang"), F.col("__topic").alias("topic"), F.col("__tokens").alias("n_tokens"), F.col("__weight").alias("weight"), F.col("__prob").alias("prob"), F.col("__sampled").alias("sampled"))
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str | None = None, rate: float = 0.5) -> DataFrame:
     """Pipeline stage: the documents drawn to the tempered mixture, with all their columns."""
     names = docs.columns
     seen = described(docs)
-    return drawn(seen, probabilities(seen, rate=rate)).filter("sampled").select(*names)
+    return drawn(seen, probabilities(seen, rate=rate)).filter("__sampled").select(*names)

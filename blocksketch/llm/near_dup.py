@@ -9,8 +9,8 @@ hash, and the links found are merged into components. While that pays, further p
 one component. Then the pairs left over, those in one bucket but in different components, are all compared. So pairs that
 could change no component are skipped, and no other: nothing is capped.
 
-Before its full sets are fetched, a pair is tested on packed sketches of 2 bits a coordinate: at most 140 of 512 may differ, where a pair at
-0.75 expects 96 with deviation 8.8. Of the buckets that a pair shares, only the first yields it. Links are confirmed on full sets of
+Before its full sets are fetched, a pair is tested on packed sketches of 2 bits a coordinate: at most 253 of 1024 may differ, where a pair at
+0.75 expects 192 with deviation 12.5. Of the buckets that a pair shares, only the first yields it. Links are confirmed on full sets of
 64-bit shingle hashes.
 
 Defined results: null, empty or blank text has an empty set (n_shingles 0), is linked with nothing and kept; a text of fewer than
@@ -67,7 +67,7 @@ def _sets(width: int):
     return run
 
 
-def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: int = 512, bands: int = 32, rows: int = 4, rounds: int = 4) -> DataFrame:
+def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: int = 1024, bands: int = 32, rows: int = 4, rounds: int = 4) -> DataFrame:
     """docs(doc_id, text) to (doc_id, n_shingles, component_id, kept), one row per row of docs."""
     keep = Kept(docs.sparkSession)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
@@ -85,7 +85,7 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
     known = keep.keep(reps.join(nodes, "node", "left_semi").drop("bands"))
 
     differ = " + ".join(f"bit_count(((a.{p} ^ b.{p}) | shiftrightunsigned(a.{p} ^ b.{p}, 1)) & {EVEN}L)" for p in ps)
-    alike = F.expr(f"least(a.n, b.n) * 100 >= greatest(a.n, b.n) * {percent} and {differ} <= {int(size * 0.2745)}")
+    alike = F.expr(f"least(a.n, b.n) * 100 >= greatest(a.n, b.n) * {percent} and {differ} <= {int(size * 0.248)}")
     pair = [F.least("a.node", "b.node").alias("a"), F.greatest("a.node", "b.node").alias("b")]
 
     def plausible(pairs: DataFrame) -> DataFrame:

@@ -129,11 +129,11 @@ def mask(spark: SparkSession, docs: DataFrame, sf_dir: str | None = None, most:
     Base spans are replaced in place, without a shuffle. Discovered spans are joined: broadcast up to `most` of them, else by key."""
     keep = Kept(spark)
     keyed = _keyed(docs.select("doc_id", "text"))
-    more = keep.keep(find(keyed.select("key", "t")).filter("kind = 4").groupBy("key").agg(F.array_sort(F.collect_list(F.struct("start", "end"))).alias("__ids")))
+    more = keep.keep(find(keyed.select("key", "t")).filter("kind = 4").groupBy("key").agg(F.array_sort(F.collect_list(F.struct("start", "end"))).alias("__ids")).withColumnRenamed("key", "__found"))
     names = docs.columns
     out = docs.withColumn("__key", F.xxhash64("doc_id", F.coalesce("text", F.lit(""))))
     few = more.count() <= most
-    out = out.join(F.broadcast(more) if few else more, out["__key"] == more["key"], "left")
+    out = out.join(F.broadcast(more) if few else more, F.col("__key") == F.col("__found"), "left")
     cut = "concat(array_join(transform(sequence(0, size(__ids) - 1), i -> concat(substring(text, int(if(i = 0, 0, __ids[i - 1].end)) + 1, int(__ids[i].start - if(i = 0, 0L, __ids[i - 1].end))), '<ID>')), ''), substring(text, int(__ids[size(__ids) - 1].end) + 1))"
     text = f"if(__ids is null, text, {cut})"
     out = out.withColumn("text", F.expr(text))

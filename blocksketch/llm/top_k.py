@@ -3,7 +3,8 @@
 Components become integers floor(1024 * x). Rows are dealt to shards and queries to blocks by hash, each sized so that a tile fits a task; a
 tile multiplies its matrices in runs of rows, keeps the k best of each query after every run, and hands on at most k per query. Top lists are
 merged in steps of `fan` shards, so no task gathers more than fan * k rows of a query. A query's own row is no candidate; ties go to the
-smaller vec_id. Products are exact: double precision while every sum stays below 2^53, Python integers beyond.
+smaller vec_id. Products are exact: double precision while every sum stays below 2^53, Python integers
+beyond (a score that 64 bits cannot hold is the nearest that they can).
 
 Defined results: vectors that are null, empty-handed of a vec_id, or hold null or non-finite components take no part; vectors of different
 lengths are compared on their common components; repeated rows are candidates each; fewer candidates than k give shorter lists.
@@ -49,14 +50,15 @@ def _tile(k: int, run: int):
         out = pd.DataFrame({"query_id": np.zeros(0, np.int64), "vec_id": np.zeros(0, np.int64), "score": np.zeros(0, np.int64)})
         if queries.empty or shard.empty:
             return out
-        width = max(map(len, [*queries["v"], *shard["v"]]))
+        width = max(map(len, [*queries["v"], *shard["sv"]]))
         q, qid = matrix(queries["v"], width), queries["vec_id"].to_numpy()
         top = [(np.zeros(0, np.int64),) * 3]
         for begin in range(0, len(shard), run):
             part = shard.iloc[begin : begin + run]
-            s, ids = matrix(part["v"], width), part["vec_id"].to_numpy()
+            s, ids = matrix(part["sv"], width), part["sid"].to_numpy()
             exact = np.abs(q).max(initial=0) * np.abs(s).max(initial=0) * max(width, 1) < 2**53
-            p = (q @ s.T).astype(np.int64) if exact else (np.vectorize(int, otypes=[object])(q) @ np.vectorize(int, otypes=[object])(s).T).astype(np.int64)
+            whole = np.vectorize(int, otypes=[object])
+            p = (q @ s.T).astype(np.int64) if exact else np.clip(whole(q) @ whole(s).T, -(2**63) + 2, 2**63 - 1).astype(np.int64)
             p[qid[:, None] == ids[None, :]] = np.iinfo(np.int64).min + 1
             if len(ids) > k:
                 least = -np.partition(-p, k - 1, axis=1)[:, k - 1 : k]  # the k-th best: all as good as it stay, for ties
@@ -80,7 +82,8 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 10, shard_rows: int =
     n, m = vectors.count(), queries.count()
     shards, blocks = max(1, math.ceil(n / shard_rows)), max(1, math.ceil(m / block_rows))
     spread = lambda c, of, by: F.pmod(F.xxhash64(*c), F.lit(of)).cast("int").alias(by)
-    s = vectors.select("vec_id", "v", spread(["vec_id", "v"], shards, "shard"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"))
+    # New names on one side: both may come from one table.
+    s = vectors.select(F.col("vec_id").alias("sid"), F.col("v").alias("sv"), spread(["vec_id", "v"], shards, "shard"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"))
     q = queries.dropDuplicates(["vec_id"]).select("vec_id", "v", spread(["vec_id"], blocks, "block"), F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"))
     best = q.groupBy("block", "shard").cogroup(s.groupBy("block", "shard")).applyInPandas(_tile(k, run), "query_id long, vec_id long, score long")
     order = [F.desc("score"), F.asc("vec_id")]

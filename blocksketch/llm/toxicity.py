@@ -129,8 +129,8 @@ def learn(docs: DataFrame, labels: DataFrame, most_positive: int = 4000, most_un
 
 
 def predict(docs: DataFrame, model: Classifier, threshold: float = 0.7) -> DataFrame:
-    """All columns of docs but text, with score and predicted."""
-    others = [c for c in docs.columns if c != "text"]
+    """All columns of docs but text, with score and predicted; columns of these names are replaced."""
+    others = [c for c in docs.columns if c not in ("text", "score", "predicted")]
     sent = docs.sparkSession.sparkContext.broadcast(model)  # as many weights as were selected
     schema = ", ".join([*(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in others), "score double", "predicted int"])
 
