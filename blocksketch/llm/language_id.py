@@ -101,10 +101,10 @@ def _count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         counts.clear()
 
     for pdf in batches:
-        for lang, text in zip(pdf["lang"], pdf["text"], strict=True):
+        for i, (lang, text) in enumerate(zip(pdf["lang"], pdf["text"], strict=True)):
             counts.setdefault(lang, Counter()).update(WORD.findall(text.lower()))
-        if sum(map(len, counts.values())) > 400_000:
-            yield from flush()
+            if i % 256 == 255 and sum(map(len, counts.values())) > 100_000:
+                yield from flush()
     yield from flush()
 
 

@@ -143,5 +143,5 @@ def op1_raked_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str | None = None, rate: float = 0.5) -> DataFrame:
     """Pipeline stage: the documents drawn to the tempered mixture, with all their columns."""
     names = docs.columns
-    seen = described(docs)
+    seen = Kept(spark).keep(described(docs))
     return drawn(seen, probabilities(seen, rate=rate)).filter("__sampled").select(*names)
