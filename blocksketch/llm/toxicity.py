@@ -21,7 +21,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import Kept, table
 from .language_id import WORD, grams
 
 ORDERS = (4, 5)
@@ -67,25 +67,26 @@ class Classifier:
         return 1 / (1 + np.exp(-np.clip(z, -60, 60)))
 
 
-def train(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: float, bits: int, select: int = 1024, purity: float = 0.0, rounds: int = 200, rate: float = 0.1, decay: float = 1e-4, slack: float = 0.0) -> Classifier:
-    """Non-negative risk, by Adam over all rows in each round."""
+def gains(in_p: np.ndarray, in_u: np.ndarray, positives: int, unlabelled: int, prior: float, purity: float) -> np.ndarray:
+    """How far each feature, in so many documents of either sample, sets positives apart; 0 for those in fewer than 4 positives."""
+    gain = in_p * np.abs(np.log((in_p + 0.5) / (positives + 1)) - np.log((in_u + 0.5) / (unlabelled + 1)))
+    # The toxic share among documents with a feature, as the prior and both samples tell it, with a deviation's benefit to the doubt against it.
+    pure = prior * (in_p / max(positives, 1)) / ((in_u + np.sqrt(in_u + 1)) / max(unlabelled, 1))
+    return np.where((in_p < 4) | (pure < purity), 0.0, gain)
+
+
+def best(features: np.ndarray, gain: np.ndarray, select: int) -> np.ndarray:
+    order = np.lexsort((features, -gain))[:select]
+    return np.sort(features[order[gain[order] > 0]])
+
+
+def fit(positive: list[np.ndarray], unlabelled: list[np.ndarray], known: np.ndarray, prior: float, bits: int, rounds: int = 200, rate: float = 0.1, decay: float = 1e-4, slack: float = 0.0) -> Classifier:
+    """Non-negative risk, by Adam over all rows in each round. Rows hold places in `known`."""
     if not positive or not unlabelled:
         return Classifier(bits, np.zeros(0, np.int64), np.zeros(0), 0.0)
-    size = 1 << bits
-    np_, nu = (np.bincount(np.concatenate(x), minlength=size) if sum(map(len, x)) else np.zeros(size) for x in (positive, unlabelled))
-    gain = np_ * np.abs(np.log((np_ + 0.5) / (len(positive) + 1)) - np.log((nu + 0.5) / (len(unlabelled) + 1)))
-    # The toxic share among documents with a feature, as the prior and both samples tell it, with a deviation's benefit to the doubt against it.
-    pure = prior * (np_ / len(positive)) / ((nu + np.sqrt(nu + 1)) / len(unlabelled))
-    gain[(np_ < 4) | (pure < purity)] = 0
-    known = np.sort(np.argsort(-gain, kind="stable")[:select])
-    known = known[gain[known] > 0]
 
     def rows(x: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-        col = np.concatenate([*x, np.zeros(0, np.int64)])
-        row = np.repeat(np.arange(len(x)), [len(f) for f in x])
-        at = np.minimum(np.searchsorted(known, col), max(len(known) - 1, 0))
-        ok = known[at] == col if len(known) else np.zeros(len(col), bool)
-        return row[ok], at[ok]
+        return np.repeat(np.arange(len(x)), [len(f) for f in x]), np.concatenate([*x, np.zeros(0, np.int64)])
 
     (pr, pc), (ur, uc) = rows(positive), rows(unlabelled)
     w, b = np.zeros(len(known)), float(np.log(prior / (1 - prior)))
@@ -108,24 +109,47 @@ def train(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: float
     return Classifier(bits, known, w, b)
 
 
-def learn(docs: DataFrame, labels: DataFrame, most_positive: int = 4000, most_unlabelled: int = 8000, bits: int = 20) -> Classifier:
-    """docs(doc_id, text) and labels(doc_id, toxic) of training rows only."""
+def train(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: float, bits: int, select: int = 1024, purity: float = 0.0) -> Classifier:
+    """Selection and fit of rows that hold feature numbers below 2^bits."""
+    count = lambda x: np.bincount(np.concatenate([*x, np.zeros(0, np.int64)]), minlength=1 << bits)
+    known = best(np.arange(1 << bits), gains(count(positive), count(unlabelled), len(positive), len(unlabelled), prior, purity), select)
+    place = lambda x: [np.searchsorted(known, f[np.isin(f, known)]) for f in x]
+    return fit(place(positive), place(unlabelled), known, prior, bits)
+
+
+def learn(docs: DataFrame, labels: DataFrame, most_positive: int = 4000, most_unlabelled: int = 8000, bits: int = 20, select: int = 1024, purity: float = 0.0) -> Classifier:
+    """docs(doc_id, text) and labels(doc_id, toxic) of training rows only. Features are counted and selected where the documents are; the
+    driver sees the samples' selected features only."""
     order = F.xxhash64("doc_id", F.lit(7))
     toxic = labels.filter("toxic is not null and doc_id is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
-    prior = toxic.agg(F.avg(F.col("toxic").cast("double"))).first()[0] or 0.0
+    prior = min(max(toxic.agg(F.avg(F.col("toxic").cast("double"))).first()[0] or 0.0, 1e-3), 0.5)
     pick = lambda df, n: df.select("doc_id").filter("doc_id is not null").distinct().orderBy(order, "doc_id").limit(n)
     chosen = pick(toxic.filter("toxic = 1"), most_positive).withColumn("p", F.lit(1)).union(pick(docs, most_unlabelled).withColumn("p", F.lit(0)))
+    sample = Kept(docs.sparkSession).keep(docs.join(F.broadcast(chosen), "doc_id").select("p", "text"))
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        f = Features(bits)
+    def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        f, n = Features(bits), np.zeros((2, 1 << bits), np.int32)
+        for pdf in batches:
+            p = pdf["p"].to_numpy()
+            for k in range(0, len(pdf), 256):
+                for label, row in zip(p[k : k + 256], f.of(pdf["text"].tolist()[k : k + 256]), strict=True):
+                    n[label, row] += 1
+        at = np.flatnonzero(n.sum(0))
+        yield pd.DataFrame({"feature": at, "p": n[1, at].astype(np.int64), "u": n[0, at].astype(np.int64)})
+
+    size = dict(map(tuple, sample.groupBy("p").count().collect()))
+    counts = sample.mapInPandas(count, "feature long, p long, u long").groupBy("feature").agg(F.sum("p").alias("p"), F.sum("u").alias("u")).filter("p >= 4").toPandas()  # at most 2^bits rows
+    known = best(counts["feature"].to_numpy(np.int64), gains(counts["p"].to_numpy(), counts["u"].to_numpy(), size.get(1, 0), size.get(0, 0), prior, purity), select)
+
+    def rows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        f = Features(bits, known)
         for pdf in batches:
             for k in range(0, len(pdf), 256):
                 yield pd.DataFrame({"p": pdf["p"].to_numpy()[k : k + 256], "f": [x.astype(np.int32) for x in f.of(pdf["text"].tolist()[k : k + 256])]})
 
-    got = docs.join(F.broadcast(chosen), "doc_id").select("p", "text").mapInPandas(run, "p int, f array<int>").toPandas()  # at most both bounds
-    p = got["p"].to_numpy() == 1
-    rows = [np.asarray(x, np.int64) for x in got["f"]]
-    return train([r for r, y in zip(rows, p, strict=True) if y], [r for r, y in zip(rows, p, strict=True) if not y], min(max(prior, 1e-3), 0.5), bits)
+    got = sample.mapInPandas(rows, "p int, f array<int>").toPandas()  # at most both bounds
+    split = [[np.asarray(x, np.int64) for x in got["f"][got["p"] == k]] for k in (1, 0)]
+    return fit(*split, known, prior, bits)
 
 
 def predict(docs: DataFrame, model: Classifier, threshold: float = 0.7) -> DataFrame:
