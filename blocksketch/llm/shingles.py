@@ -88,22 +88,27 @@ def set_hash(h: np.ndarray, doc: np.ndarray, n: int) -> tuple[np.ndarray, np.nda
 
 
 def sketches(h: np.ndarray, doc: np.ndarray, n: int, size: int) -> np.ndarray:
-    """Fast similarity sketches, n x size: in each of the first `size` rounds every element falls into one hashed bin, in the
+    """Fast similarity sketches, n x size (a power of two): in each of the first `size` rounds every element falls into one hashed bin, in the
     next `size` rounds all fall into the bin of that number, so each bin is filled. A bin keeps the least (round, hash), and a
     set whose bins are all full takes no part in later rounds."""
     full = np.uint64(0xFFFFFFFFFFFFFFFF)
     s = np.full(n * size, full)
-    begin = np.searchsorted(doc, np.arange(n + 1))
+    shift = U64(64 - size.bit_length() + 1)
+    base, live = doc * size, np.arange(n)
     for r in range(2 * size):
         if not len(h):
             break
         x = mix(h + U64((r + 1) * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF))
-        at = (x >> U64(33)).astype(np.int64) % size if r < size else r - size
-        np.minimum.at(s, doc * size + at, U64(r << 32) | (x & U64(0xFFFFFFFF)))
-        if r == 0 or r % 4 == 3 or r >= size:
-            open_ = (s.reshape(n, size) == full).any(1)
+        at = base + (x >> shift).astype(np.int64) if r < size else base + (r - size)
+        if r:  # a bin filled in an earlier round keeps what it has
+            hit = np.flatnonzero(s[at] == full)
+            at, x = at[hit], x[hit]
+        np.minimum.at(s, at, U64(r << 32) | (x & U64(0xFFFFFFFF)))
+        if r < 3 or r % 2 or r >= size:
+            live = live[(s.reshape(n, size)[live] == full).any(1)]
+            open_ = np.zeros(n, bool)
+            open_[live] = True
             keep = open_[doc]
             if not keep.all():
-                h, doc = h[keep], doc[keep]
-    del begin
+                h, doc, base = h[keep], doc[keep], base[keep]
     return (mix(s) >> U64(32)).astype(np.uint32).view(np.int32).reshape(n, size)
