@@ -460,18 +460,17 @@ def expected_error(spark, d):
 
 @query()
 def unbiased_over_seeds(spark, d):
-    """Mean deviation of the estimated product from the exact one, over the norm, by the number of seeds averaged."""
+    """Mean deviation of the estimated product from the exact one, over the norm, by the number of seeds averaged. All suppliers count."""
     a, b = _pair(spark, d)
-    a = a.slice(0, 10, 0, a.cols)
-    exact = multiply.multiply(a, b)
-    family = HashFamily(32, 7)
-    parts = multiply.sketched_partials(sketch.stacked_sketch(a, B, family), sketch.sketch_right(b, B, family), B)
-    out = None
-    for n in (1, 4, 32):
-        got = parts.filter(F.col("k") < n).groupBy("i", "j").agg((F.sum("v") / n).alias("v_hat"))
-        one = accuracy.rel_frobenius(exact, got).select(F.lit(n).alias("seeds"), "rel_frob")
-        out = one if out is None else out.union(one)
-    return out
+    family, numbers = HashFamily(32, 7), (1, 4, 32)
+    right = sketch.sketch_right(b, B, family).withColumnRenamed("v", "w")
+    sums = [F.sum(F.when(F.col("k") < n, F.col("v")).otherwise(0)).cast("double") / n for n in numbers]
+    slices = sketch.stacked_sketch(a, B, family).join(right, ["k", "h"]).select("i", "j", "k", (F.col("v") * F.col("w")).alias("v"), F.lit(0).cast("long").alias("x"))
+    exact = _cells(multiply.multiply(a, b)).select("i", "j", F.lit(family.slices).alias("k"), F.lit(0).cast("long").alias("v"), F.col("v").alias("x"))
+    cells = slices.unionByName(exact).groupBy("i", "j").agg(F.sum("x").cast("double").alias("x"), *(x.alias(f"n{n}") for n, x in zip(numbers, sums, strict=True)))
+    whole = cells.agg(F.sum(F.col("x") * F.col("x")).alias("sq"), *(F.sum(F.pow(F.col("x") - F.col(f"n{n}"), 2)).alias(f"n{n}") for n in numbers))
+    each = F.array(*(F.struct(F.lit(n).alias("seeds"), (F.sqrt(f"n{n}") / F.sqrt("sq")).alias("rel_frob")) for n in numbers))
+    return whole.select(F.inline(each))
 
 
 @query()

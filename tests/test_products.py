@@ -8,6 +8,7 @@ from blocksketch.functions.hashing import HashFamily
 from blocksketch.operators import accuracy, baselines, coded, multiply, sketch, straggler
 from blocksketch.operators.matrix import CoordMatrix, generated, numbered
 from blocksketch.operators.straggler import Policy
+from blocksketch.workloads import products
 from blocksketch.workloads.products import WORKED_BUCKET, WORKED_SIGN
 
 
@@ -196,3 +197,13 @@ def test_plans_have_no_cartesian_product(spark):
     assert "CartesianProduct" not in plan and "NestedLoop" not in plan
     one = sketch.stacked_sketch(x, 2, HashFamily(3))._jdf.queryExecution().executedPlan().toString()
     assert one.count("Exchange hashpartitioning") == 1 and "partial_sum" in one
+
+
+def test_seeds_are_averaged_over_all_suppliers(spark, monkeypatch):
+    rng = np.random.default_rng(7)
+    a, b, w = rng.integers(-3, 4, (25, 40)), rng.integers(-3, 4, (40, 5)), products.B
+    monkeypatch.setattr(products, "_pair", lambda spark, d: (coords(spark, a), coords(spark, b)))
+    s = dense_family(HashFamily(32, 7), 40, w)
+    got = {r.seeds: r.rel_frob for r in products.unbiased_over_seeds(spark, None).collect()}
+    want = {n: np.linalg.norm(a @ b - a @ s[:, : n * w] @ s[:, : n * w].T @ b / n) / np.linalg.norm(a @ b) for n in (1, 4, 32)}
+    assert got == pytest.approx(want)
