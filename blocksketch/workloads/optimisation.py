@@ -75,25 +75,25 @@ def lp_step_hessian_rbs(spark, d):
     return multiply.rbs_gram(a, 16, HashFamily(5)).select(F.col("i").alias("c1"), F.col("j").alias("c2"), F.col("v_hat").alias("h_hat"))
 
 
+#: Iterations of the registered programs, slices that count in a sketched Hessian, and after how many iterations tau doubles.
+ITERATIONS, SLICES, EVERY = 100, 20, 10
+
+
 def _trace(spark, d, **how):
     e = sources.load(spark, d, "embeddings")
     c = barrier.embedding_cost(e)
-    _, trace = barrier.barrier_lp(barrier.embedding_problem(e), c, np.zeros(64), **how)
+    _, trace = barrier.barrier_lp(barrier.embedding_problem(e), c, np.zeros(64), iters=ITERATIONS, every=EVERY, **how)
     return trace
 
 
-#: Iterations of the registered traces; tau doubles every tenth of them, as in a run of 100.
-ITERATIONS = 40
-
-
 def _lp(name: str, **how):
-    query(None, name)(lambda spark, d: _trace(spark, d, iters=ITERATIONS, every=ITERATIONS // 10, **how).frame(spark))
+    query(None, name)(lambda spark, d: _trace(spark, d, **how).frame(spark))
 
 
 _lp("lp_trace_exact")
-_lp("lp_trace_rbs_e0", hessian="rbs")
-_lp("lp_trace_rbs_e1", hessian="rbs", spare=1)
-_lp("lp_trace_rbs_e1_per_cell", hessian="rbs", spare=1, shared=False)
+_lp("lp_trace_rbs_e0", hessian="rbs", slices=SLICES)
+_lp("lp_trace_rbs_e1", hessian="rbs", slices=SLICES, spare=1)
+_lp("lp_trace_rbs_e1_per_cell", hessian="rbs", slices=SLICES, spare=1, shared=False)
 
 
 @query()
@@ -122,7 +122,7 @@ def lp_lineitem(spark, d):
     a = wide.select(F.col("l_suppkey").alias("i"), F.transform(row, lambda x: x / F.aggregate(row, F.lit(0.0), lambda s, y: s + y)).alias("row")).withColumn("b", F.lit(0.5))
     n, m = a.count(), len(brands)
     box = spark.createDataFrame([(n + s * m + k, [float((1 - 2 * s) * (k == e)) for e in range(m)], 1.0) for s in (0, 1) for k in range(m)], "i long, row array<double>, b double")
-    x, trace = barrier.barrier_lp(a.unionByName(box), -np.ones(m), np.zeros(m), iters=20, every=2)
+    x, trace = barrier.barrier_lp(a.unionByName(box), -np.ones(m), np.zeros(m), iters=ITERATIONS, every=EVERY)
     return spark.createDataFrame([(b, float(v)) for b, v in zip(brands, x, strict=True)], "brand string, weight double")
 
 

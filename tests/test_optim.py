@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from blocksketch.functions.hashing import HashFamily
 from blocksketch.operators.matrix import CoordMatrix
 from blocksketch.optim import barrier, linear
+from blocksketch.workloads import optimisation
 
 
 def _frame(spark, a, b):
@@ -79,3 +80,20 @@ def test_gram_sketched_on_constraints(spark):
     g = linear.gram(CoordMatrix(df, 200, 3), HashFamily(20, 3), 64)
     assert np.linalg.norm(g - x.T @ x) / np.linalg.norm(x.T @ x) < 0.2
     assert df.agg(F.count("*")).first()[0] == 600
+
+
+DATA = "/root/testdata/sf0.001"
+LP_TRACES = {"lp_trace_exact": {}, "lp_trace_rbs_e0": {"hessian": "rbs", "slices": 20}, "lp_trace_rbs_e1": {"hessian": "rbs", "slices": 20, "spare": 1}, "lp_trace_rbs_e1_per_cell": {"hessian": "rbs", "slices": 20, "spare": 1, "shared": False}}
+
+
+def test_registered_programs_run_whole(spark, monkeypatch):
+    asked = []
+
+    def record(problem, c, x0, **how):
+        asked.append(how)
+        return x0, barrier.Trace([(0, 32.0, -1.0, 1.0, False)])
+
+    monkeypatch.setattr(barrier, "barrier_lp", record)
+    for name in (*LP_TRACES, "lp_lineitem"):
+        optimisation.QUERIES[name](spark, DATA)
+    assert asked == [{"iters": 100, "every": 10, **how} for how in (*LP_TRACES.values(), {})]
