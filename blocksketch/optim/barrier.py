@@ -122,6 +122,51 @@ def barrier_lp(problem: DataFrame, c: np.ndarray, x0: np.ndarray, tau0: float =
     return x, trace
 
 
+def _small_lp(a: np.ndarray, b: np.ndarray, c: np.ndarray, rounds: int = 200) -> np.ndarray:
+    """min c.x, Ax <= b on the driver, by a primal-dual interior point method with a predictor and a corrector step."""
+    x, s, y = np.zeros(len(c)), np.maximum(np.abs(b), 1.0), np.ones(len(b))
+    scale = 1 + max(np.abs(b).max(), np.abs(c).max())
+    reach = lambda v, dv: min(1.0, 0.995 * float(np.min(-v[dv < 0] / dv[dv < 0], initial=np.inf)))
+    for _ in range(rounds):
+        primal, dual, mu = b - a @ x - s, -c - a.T @ y, s @ y / len(b)
+        if max(np.abs(primal).max(), np.abs(dual).max()) < 1e-10 * scale and len(b) * mu < 1e-11 * (1 + abs(c @ x)):
+            break
+        h = (a * (y / s)[:, None]).T @ a
+
+        def direction(r: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+            """Newton step for the complementarity residual r."""
+            dx = np.linalg.lstsq(h, dual - a.T @ ((r - y * primal) / s), rcond=None)[0]
+            ds = primal - a @ dx
+            return dx, ds, (r - y * ds) / s
+
+        _, ds, dy = direction(-s * y)
+        ahead = (s + reach(s, ds) * ds) @ (y + reach(y, dy) * dy) / len(b)
+        dx, ds, dy = direction((ahead / mu) ** 3 * mu - s * y - ds * dy)
+        p, q = reach(s, ds), reach(y, dy)
+        x, s, y = x + p * dx, s + p * ds, y + q * dy
+    return x
+
+
+def optimum(problem: DataFrame, c: np.ndarray, radius: float = 1e3, batch: int = 64, tol: float = 1e-8, rounds: int = 200) -> float:
+    """The least c.x of a bounded program. The driver solves the rows found so far; each round, one pass finds the rows that its solution breaks most,
+    until no row is broken by more than tol. The value of fewer rows is a lower bound, so the last one is the optimum. A box of `radius` starts it."""
+    problem, m = rows_frame(problem).persist(), len(c)
+    a, b = np.vstack([np.eye(m), -np.eye(m)]), np.full(2 * m, radius)
+    try:
+        for _ in range(rounds):
+            x = _small_lp(a, b, c)
+            dot = F.aggregate(F.zip_with("row", F.array(*[F.lit(float(v)) for v in x]), lambda p, q: p * q), F.lit(0.0), lambda p, q: p + q)
+            worst = problem.withColumn("over", dot - F.col("b")).filter(F.col("over") > tol).orderBy(F.desc("over"), "i").limit(batch).collect()
+            if not worst:
+                if np.abs(x).max() > 0.99 * radius:
+                    raise ValueError("the program is unbounded, or its solution lies outside the radius")
+                return float(c @ x)
+            a, b = np.vstack([a, [r.row for r in worst]]), np.append(b, [r.b for r in worst])
+        raise ValueError("no optimum within the rounds")
+    finally:
+        problem.unpersist()
+
+
 def _objectives(problem: DataFrame, tau: float, c: np.ndarray, x: np.ndarray, step: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     """tau c.x - sum ln(slack) at x and at each step size; infinite outside."""
 

@@ -82,12 +82,13 @@ ITERATIONS, SLICES, EVERY = 100, 20, 10
 def _trace(spark, d, **how):
     e = sources.load(spark, d, "embeddings")
     c = barrier.embedding_cost(e)
-    _, trace = barrier.barrier_lp(barrier.embedding_problem(e), c, np.zeros(64), iters=ITERATIONS, every=EVERY, **how)
-    return trace
+    problem = barrier.embedding_problem(e)
+    _, trace = barrier.barrier_lp(problem, c, np.zeros(64), iters=ITERATIONS, every=EVERY, **how)
+    return trace.frame(spark, best=barrier.optimum(problem, c))
 
 
 def _lp(name: str, **how):
-    query(None, name)(lambda spark, d: _trace(spark, d, **how).frame(spark))
+    query(None, name)(lambda spark, d: _trace(spark, d, **how))
 
 
 _lp("lp_trace_exact")

@@ -94,6 +94,21 @@ def test_registered_programs_run_whole(spark, monkeypatch):
         return x0, barrier.Trace([(0, 32.0, -1.0, 1.0, False)])
 
     monkeypatch.setattr(barrier, "barrier_lp", record)
+    monkeypatch.setattr(barrier, "optimum", lambda problem, c: -2.0, raising=False)
     for name in (*LP_TRACES, "lp_lineitem"):
         optimisation.QUERIES[name](spark, DATA)
     assert asked == [{"iters": 100, "every": 10, **how} for how in (*LP_TRACES.values(), {})]
+
+
+def test_optimum_is_the_best_vertex(spark):
+    assert barrier.optimum(_frame(spark, A, RIGHT), COST, batch=1) == pytest.approx(min(vertices()), abs=1e-7)
+    with pytest.raises(ValueError):
+        barrier.optimum(_frame(spark, A[2:4], RIGHT[2:4]), COST)
+
+
+def test_traces_have_a_falling_gap(spark, monkeypatch):
+    monkeypatch.setattr(optimisation, "ITERATIONS", 12)
+    monkeypatch.setattr(optimisation, "EVERY", 2)
+    for name in ("lp_trace_exact", "lp_trace_rbs_e1"):
+        gap = [r.gap_pct for r in optimisation.QUERIES[name](spark, DATA).orderBy("iteration").collect()]
+        assert None not in gap and gap[0] > gap[5] > gap[-1] > 0
