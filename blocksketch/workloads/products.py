@@ -246,17 +246,29 @@ def error_by_e(spark, d):
     return out
 
 
-@query()
-def eps_by_e(spark, d):
+#: Losses per cell and sketches of the error experiments.
+LOSSES, SKETCHES = range(11), 10
+
+
+def _dropped(spark, rows: int, cols: int, es, slices, b: int = B):
+    """alive(e, bi, bj, k): the slices left in each cell after its e slowest; slices: a number, or one by e."""
     out = None
-    a = sources.supplier_part(spark, d)
-    exact = multiply.multiply(a, a.t)
-    for e in (0, 1, 4):
-        one = accuracy.eps_achieved(a, a.t, exact, _gram(spark, d, e)[1]).select(F.lit(e).alias("e"), "eps", F.lit(2 / (N * B)).alias("expected_bound"))
+    for e in es:
+        one = straggler.survivors(_log(spark, rows, cols, slices(e) if callable(slices) else slices, b), Policy("drop", e)).select(F.lit(e).alias("e"), "bi", "bj", "k")
         out = one if out is None else out.union(one)
     return out
 
 
+@query()
+def eps_by_e(spark, d):
+    """Mean and largest squared error over the squared norms of A and B, over ten sketches, with e of N + e slices ignored per cell."""
+    a = sources.supplier_part(spark, d)
+    alive = _dropped(spark, a.rows, a.rows, LOSSES, lambda e: N + e)
+    errors = accuracy.errors_over_seeds(a, a.t, multiply.multiply(a, a.t), B, list(range(42, 42 + SKETCHES)), N + max(LOSSES), alive, gram=True)
+    eps = errors.crossJoin(F.broadcast(a.frobenius_sq())).withColumn("eps", F.col("err_sq") / F.pow(F.col("sq").cast("double"), 2))
+    return eps.groupBy("e").agg(F.avg("eps").alias("eps"), F.max("eps").alias("worst_eps")).withColumn("expected_bound", F.lit(2 / (N * B)))
+
+
 XY = 16
 
 
@@ -274,14 +286,10 @@ def _xy_error(spark, e: int, seed: int, b: int = XY, slices: int = 30):
 @query()
 def error_xy_by_e(spark, d):
     """Mean relative error over seeds, by the number of tasks ignored per cell, on A(x, y) = x + y with 10b x 60b and z = 30b."""
-    a = xy_pair(spark)
-    exact = multiply.multiply(a, a.t)
-    out = None
-    for e in (0, 4, 10):
-        for s in range(3):
-            one = accuracy.rel_frobenius(exact, _xy_error(spark, e, 100 + s)[1]).select(F.lit(e).alias("e"), "rel_frob")
-            out = one if out is None else out.union(one)
-    return out.groupBy("e").agg(F.avg("rel_frob").alias("mean_rel_frob"))
+    a, slices = xy_pair(spark), 30
+    alive = _dropped(spark, a.rows, a.rows, LOSSES, slices, XY)
+    errors = accuracy.errors_over_seeds(a, a.t, multiply.multiply(a, a.t), XY, list(range(100, 100 + SKETCHES)), slices, alive, gram=True)
+    return errors.groupBy("e").agg(F.avg(F.sqrt(F.col("err_sq") / F.col("exact_sq"))).alias("mean_rel_frob"))
 
 
 for _e in (0, 1, 2, 4, 8, 10):
@@ -577,14 +585,14 @@ def dollars_sweep(spark, d):
 
 @query()
 def vs_parity_error(spark, d):
-    """Error of the sketched product of x + y and x * y with z = n/2 + b and e = 1, by n; the parity scheme is exact while it decodes."""
+    """Mean error over ten sketches of the product of x + y and x * y with z = n/2 + b and e = 1, by n; the parity scheme is exact while it decodes."""
     out = None
-    for k in (6, 10, 14):
+    for k in range(6, 15):
         n = k * XY
         a, b = generated(spark, n, n, lambda x, y: x + y), generated(spark, n, n, lambda x, y: x * y)
         slices = math.ceil((n / 2 + XY) / XY)
-        got = multiply.rbs_multiply(a, b, XY, HashFamily(slices), _log(spark, n, n, slices), Policy("drop", 1))
-        one = accuracy.rel_frobenius(multiply.multiply(a, b), got).select(F.lit(n).alias("n"), "rel_frob")
+        errors = accuracy.errors_over_seeds(a, b, multiply.multiply(a, b), XY, list(range(42, 42 + SKETCHES)), slices, _dropped(spark, n, n, [1], slices, XY))
+        one = errors.groupBy(F.lit(n).alias("n")).agg(F.avg(F.sqrt(F.col("err_sq") / F.col("exact_sq"))).alias("rel_frob"))
         out = one if out is None else out.union(one)
     return out
 

@@ -207,3 +207,35 @@ def test_seeds_are_averaged_over_all_suppliers(spark, monkeypatch):
     got = {r.seeds: r.rel_frob for r in products.unbiased_over_seeds(spark, None).collect()}
     want = {n: np.linalg.norm(a @ b - a @ s[:, : n * w] @ s[:, : n * w].T @ b / n) / np.linalg.norm(a @ b) for n in (1, 4, 32)}
     assert got == pytest.approx(want)
+
+
+@pytest.mark.parametrize("gram", [False, True])
+def test_errors_over_seeds_equal_single_runs(spark, gram):
+    a, b = tiny(8)
+    x = coords(spark, a)
+    y = x.t if gram else coords(spark, b)
+    exact, log = multiply.multiply(x, y), straggler.task_log(spark, 2, 2, 4, seed=4)
+    alive = None
+    for e in (0, 2):
+        one = straggler.survivors(log, Policy("drop", e)).selectExpr(f"{e} as e", "bi", "bj", "k")
+        alive = one if alive is None else alive.union(one)
+    got = {(r.seed, r.e): np.sqrt(r.err_sq / r.exact_sq) for r in accuracy.errors_over_seeds(x, y, exact, 2, [3, 5], 4, alive, gram).collect()}
+    want = {}
+    for seed, e in itertools.product((3, 5), (0, 2)):
+        one = multiply.rbs_gram(x, 2, HashFamily(4, seed), log, Policy("drop", e)) if gram else multiply.rbs_multiply(x, y, 2, HashFamily(4, seed), log, Policy("drop", e))
+        want[seed, e] = accuracy.rel_frobenius(exact, one).first()[0]
+    assert got == pytest.approx(want)
+
+
+def test_error_experiments_have_ten_sketches_and_all_sizes(spark, monkeypatch):
+    asked = []
+
+    def record(a, b, exact, width, seeds, slices, alive, gram=False):
+        asked.append((a.rows, len(set(seeds)), sorted(r.e for r in alive.select("e").distinct().collect())))
+        return spark.createDataFrame([(s, e, 1.0, 4.0) for s in seeds for e in asked[-1][2]], "seed int, e int, err_sq double, exact_sq double")
+
+    monkeypatch.setattr(accuracy, "errors_over_seeds", record, raising=False)
+    got = [products.QUERIES[q](spark, "/root/testdata/sf0.001").count() for q in ("error_xy_by_e", "eps_by_e", "vs_parity_error")]
+    assert got == [11, 11, 9]
+    assert [x[1:] for x in asked] == [(10, list(range(11)))] * 2 + [(10, [1])] * 9
+    assert [x[0] for x in asked[2:]] == [16 * k for k in range(6, 15)]
