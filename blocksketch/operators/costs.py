@@ -48,6 +48,12 @@ def rbs_costs(t: DataFrame) -> DataFrame:
     return t.withColumns({"rbs_sketch_tasks": (F.ceil(m / b) + F.ceil(l / b)) * slices, "rbs_compute_tasks": F.ceil(m / b) * F.ceil(l / b) * slices, "rbs_reduce_tasks": F.ceil(m / b) * F.ceil(l / b)})
 
 
+def replicated_costs(t: DataFrame) -> DataFrame:
+    """t(n, p, c): memory, entries moved and messages of each of p processors for an n x n product with c copies of the inputs, up to constants."""
+    n, p, c = (F.col(x).cast("double") for x in ("n", "p", "c"))
+    return t.withColumns({"memory_entries": c * n * n / p, "moved_entries": n * n / F.sqrt(c * p), "messages": F.sqrt(p / (c * c * c)) + F.log2(c)})
+
+
 def work_per_task(n: Column) -> tuple[Column, Column]:
     """Operations of a task of the band (a = 1) and the block product (b = sqrt n) with memory 2n."""
     return n.cast("double"), F.pow(n.cast("double"), 1.5)

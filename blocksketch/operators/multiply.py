@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.hashing import HashFamily
-from . import sketch
+from . import coded, sketch
 from .matrix import CoordMatrix
 from .straggler import Policy, survivors
 
@@ -107,3 +107,13 @@ def rbs_gram(a: CoordMatrix, width: int, family: HashFamily, log: DataFrame | No
     upper = estimate(sketched_partials(s, right, width, half=True), survivors(log, policy) if log is not None else None, family.slices)
     below = upper.filter((F.col("i") / width).cast("int") < (F.col("j") / width).cast("int"))
     return upper.union(below.select(F.col("j").alias("i"), F.col("i").alias("j"), "v_hat", "n_survivors"))
+
+
+def rbs_parity_multiply(a: CoordMatrix, b: CoordMatrix, width: int, family: HashFamily, lost: list[tuple[int, int]] = ()) -> DataFrame:
+    """(i, j, v_hat): the sketched product with a parity row block on the left sketch and a parity column block on the right one, so that the output
+    cells in `lost`, which never leave the reduction, are decoded from the others. All slices count in every cell, as parity needs equal sets."""
+    at = (F.col("k") * width + F.col("h")).cast("long")
+    left = CoordMatrix(sketch.stacked_sketch(a, width, family).select("i", at.alias("c"), "v"), a.rows, family.slices * width)
+    right = CoordMatrix(sketch.sketch_right(b, width, family).select(at.alias("i"), F.col("j").alias("c"), "v"), family.slices * width, b.cols)
+    out = coded.parity_multiply(left, right, width, lost).df
+    return out.select("i", F.col("c").alias("j"), (F.col("v").cast("double") / family.slices).alias("v_hat"))

@@ -488,6 +488,33 @@ def spectral_eps(spark, d):
     return a.frobenius_sq().select(F.lit(s).alias("sigma1_sq"), F.col("sq").alias("frobenius_sq"), (F.lit(s) / F.col("sq")).alias("share"))
 
 
+@query()
+def rbs_parity_reduction(spark, d):
+    """Cells lost in the reduction of the sketched product, decoded from parity blocks on the sketches."""
+    a, b = _pair(spark, d)
+    lost = [(r, c) for r, c in PARITY_LOST if r <= blocks_of(a.rows) and c <= blocks_of(b.cols)]
+    return multiply.rbs_parity_multiply(a, b, B, HashFamily(N), lost)
+
+
+@query()
+def failure_rate(spark, d):
+    """The share of 20 sketches whose error lies above the promise for which the planner chose the width, with one spare ignored per cell."""
+    eps, theta = 0.1, 0.2
+    a = sources.supplier_part(spark, d)
+    slices = planner.plan_dimension(eps, theta, B)[1] + 1
+    alive = _dropped(spark, a.rows, a.rows, [1], slices)
+    errors = accuracy.errors_over_seeds(a, a.t, multiply.multiply(a, a.t), B, list(range(200, 220)), slices, alive, gram=True)
+    got = errors.crossJoin(F.broadcast(a.frobenius_sq())).select("seed", (F.col("err_sq") / F.pow(F.col("sq").cast("double"), 2)).alias("eps"))
+    return accuracy.failure_rate(got, eps, theta)
+
+
+@query()
+def leverage_sample_lossy(spark, d):
+    """Eight blocks of 16 draws and a spare one; block 3 is lost."""
+    a, b = _pair(spark, d)
+    return baselines.lossy_sampled_product(a, b, baselines.leverage_scores(a), 8, 1, 16, [3])
+
+
 # Costs --------------------------------------------------------------------------------------------------------------
 
 _SIZES = "sizes AS (SELECT CAST(n AS BIGINT) AS n, CAST(n AS BIGINT) AS m, CAST(n AS BIGINT) AS l, floor(-n + sqrt(CAST(n AS DOUBLE) * n + 48000000)) AS a, CAST(4000 AS BIGINT) AS b, CAST(n // 2 + 4000 AS BIGINT) AS z FROM range(24000, 56001, 4000) AS s(n))"
@@ -570,6 +597,25 @@ def vs_parity_cost(spark, d):
     return s.select("n", (grid * one).alias("parity_dollars"), (F.col("rbs_compute_tasks") * compute + F.col("rbs_sketch_tasks") * sketching + F.col("rbs_reduce_tasks") * reduce_).alias("rbs_dollars"))
 
 
+@query("SELECT CAST(56000 AS BIGINT) AS n, CAST(4096 AS BIGINT) AS p, CAST(power(2, q) AS BIGINT) AS c, round(power(2, q) * 56000.0 * 56000 / 4096, 3) AS memory_entries, round(56000.0 * 56000 / sqrt(power(2, q) * 4096), 3) AS moved_entries, round(sqrt(4096 / power(8, q)) + q, 6) AS messages FROM range(0, 5) AS r(q)")
+def replication_costs(spark, d):
+    got = costs.replicated_costs(spark.createDataFrame([(56_000, 4096, 2**q) for q in range(5)], "n long, p long, c long"))
+    return got.select("n", "p", "c", *(F.round(x, r).alias(x) for x, r in (("memory_entries", 3), ("moved_entries", 3), ("messages", 6))))
+
+
+@query()
+def band_vs_block_tasks(spark, d):
+    """Tasks with work and entries moved to them, by bands of 16 and by blocks of 16, counted on supplier x part times part x month."""
+    a, b = _pair(spark, d)
+    tall, wide = blocks_of(a.rows), blocks_of(b.cols)
+    band = lambda m, key, copies: m.df.agg((F.count("*") * copies).alias("entries"), F.countDistinct((F.col(key) / B).cast("int")).alias("bands"))
+    bands = band(a, "i", wide).crossJoin(band(b, "c", tall).toDF("right", "others")).select(F.lit("band").alias("scheme"), (F.col("bands") * F.col("others")).alias("tasks"), (F.col("entries") + F.col("right")).alias("entries"))
+    block = lambda m, x, y: m.df.groupBy((F.col(x) / B).cast("int").alias(x), (F.col(y) / B).cast("int").alias(y)).count()
+    left, right = block(a, "i", "c"), block(b, "i", "c").toDF("c", "j", "n")
+    blocks = left.join(right, "c").agg(F.count("*").alias("tasks"), F.sum(F.col("count") + F.col("n")).alias("entries")).select(F.lit("block").alias("scheme"), "tasks", "entries")
+    return bands.union(blocks)
+
+
 @query()
 def dollars_sweep(spark, d):
     """Exact square products in dollars: bands against blocks, both filling a worker's memory."""

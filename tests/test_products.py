@@ -239,3 +239,22 @@ def test_error_experiments_have_ten_sketches_and_all_sizes(spark, monkeypatch):
     assert got == [11, 11, 9]
     assert [x[1:] for x in asked] == [(10, list(range(11)))] * 2 + [(10, [1])] * 9
     assert [x[0] for x in asked[2:]] == [16 * k for k in range(6, 15)]
+
+
+def test_parity_on_sketches_decodes_lost_cells(spark):
+    a, b = tiny(9)
+    x, y, family = coords(spark, a), coords(spark, b), HashFamily(3)
+    want = array(multiply.rbs_multiply(x, y, 2, family), "i", "j", "v_hat", (4, 3))
+    for lost in ([], [(0, 0), (1, 1), (0, 1)]):
+        assert np.allclose(array(multiply.rbs_parity_multiply(x, y, 2, family, lost), "i", "j", "v_hat", (4, 3)), want)
+    with pytest.raises(coded.Undecodable):
+        multiply.rbs_parity_multiply(x, y, 2, family, [(0, 0), (0, 1), (1, 0), (1, 1)])
+
+
+def test_methods_of_the_survey_are_registered(spark):
+    d = "/root/testdata/sf0.001"
+    failed = products.QUERIES["failure_rate"](spark, d).first()
+    assert failed.seeds == 20 and failed.failed <= failed.theta
+    assert {r.scheme for r in products.QUERIES["band_vs_block_tasks"](spark, d).collect()} == {"band", "block"}
+    assert products.QUERIES["leverage_sample_lossy"](spark, d).count() > 0
+    assert {r.c: r.messages for r in products.QUERIES["replication_costs"](spark, d).collect()}[4] == 10
