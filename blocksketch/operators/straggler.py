@@ -20,18 +20,27 @@ def log_sql(bi: int, bj: int, k: int, seed: int = 1, source: str | None = None)
     """SQL for a log of bi x bj x k tasks, in Spark and DuckDB alike: of 3000 jobs two take 375 s, 5 % about 100 s, the others 30 to 50 s.
 
     Jobs are ranked by a hash and quotas follow the rank, so the profile is exact."""
+    cells = source or f"SELECT CAST(a.i AS INT) AS bi, CAST(b.i AS INT) AS bj, CAST(c.i AS INT) AS k FROM {_series(bi)} a CROSS JOIN {_series(bj)} b CROSS JOIN {_series(k)} c"
+    return _log_text(bi, bj, k, _draws(seed), cells)
+
+
+def _draws(seed: int) -> list[int]:
     draw = random.Random(f"log:{seed}")
-    w = [draw.randint(1, P - 1) for _ in range(4)]
+    return [draw.randint(1, P - 1) for _ in range(4)]
+
+
+def _log_text(bi: int, bj: int, k: int, w: list, cells: str, key: str = "") -> str:
+    """The log over `cells`; with a key, one log for each of its values. w: the numbers of the hash, or columns of them."""
     x = f"((CAST(bi AS BIGINT) * 1000003 + bj * 1009 + k) % {P})"
     q = f"({w[0]} * {x}) % {P}"
     for y in w[1:3]:
         q = f"((({q} + {y}) % {P}) * {x}) % {P}"
     total, out, slow = bi * bj * k, 2 * bi * bj * k // 3000, bi * bj * k * 5 // 100
-    cells = source or f"SELECT CAST(a.i AS INT) AS bi, CAST(b.i AS INT) AS bj, CAST(c.i AS INT) AS k FROM {_series(bi)} a CROSS JOIN {_series(bj)} b CROSS JOIN {_series(k)} c"
     rest = max(total - slow, 1)
-    return f"""SELECT bi, bj, k, CAST(CASE WHEN r < {out} THEN 375000 WHEN r < {slow} THEN 95000 + (r * 7919) % 10001
+    first, part = (f"{key}, ", f"PARTITION BY {key} ") if key else ("", "")
+    return f"""SELECT {first}bi, bj, k, CAST(CASE WHEN r < {out} THEN 375000 WHEN r < {slow} THEN 95000 + (r * 7919) % 10001
       ELSE 30000 + CAST(floor(((r - {slow}) * 20001) / {rest}) AS BIGINT) END AS BIGINT) AS t_ms, 'done' AS status
-    FROM (SELECT bi, bj, k, row_number() OVER (ORDER BY ({q} + {w[3]}) % {P}, bi, bj, k) - 1 AS r FROM ({cells}) AS cells) AS ranked"""
+    FROM (SELECT {first}bi, bj, k, row_number() OVER ({part}ORDER BY ({q} + {w[3]}) % {P}, bi, bj, k) - 1 AS r FROM ({cells}) AS cells) AS ranked"""
 
 
 def _series(n: int) -> str:
@@ -43,6 +52,13 @@ def task_log(spark: SparkSession, bi: int, bj: int, k: int, seed: int = 1) -> Da
     return spark.sql(log_sql(bi, bj, k, seed))
 
 
+def task_logs(spark: SparkSession, bi: int, bj: int, k: int, seeds: list[int]) -> DataFrame:
+    """The logs of many seeds in one DataFrame, with the seed as `run`."""
+    values = ", ".join(f"({s}, {', '.join(f'CAST({x} AS BIGINT)' for x in _draws(s))})" for s in seeds)
+    cells = f"SELECT run, w0, w1, w2, w3, CAST(a.i AS INT) AS bi, CAST(b.i AS INT) AS bj, CAST(c.i AS INT) AS k FROM {_series(bi)} a CROSS JOIN {_series(bj)} b CROSS JOIN {_series(k)} c CROSS JOIN (VALUES {values}) AS runs(run, w0, w1, w2, w3)"
+    return spark.sql(_log_text(bi, bj, k, ["w0", "w1", "w2", "w3"], cells, "run"))
+
+
 def log_duck(bi: int, bj: int, k: int, seed: int = 1) -> str:
     cells = f"SELECT CAST(a.i AS INT) AS bi, CAST(b.i AS INT) AS bj, CAST(c.i AS INT) AS k FROM range(0, {bi}) a(i) CROSS JOIN range(0, {bj}) b(i) CROSS JOIN range(0, {k}) c(i)"
     return log_sql(bi, bj, k, seed, cells)
@@ -58,9 +74,9 @@ class Policy:
     least: int = 1
 
 
-def ranked(log: DataFrame) -> DataFrame:
+def ranked(log: DataFrame, cell: tuple[str, ...] = CELL) -> DataFrame:
     """Tasks that ended, with rank by time within their cell (then by slice) and the cell's number of tasks."""
-    by = W.partitionBy(*CELL)
+    by = W.partitionBy(*cell)
     done = log.filter("status = 'done'")
     return done.withColumn("rank", F.row_number().over(by.orderBy("t_ms", "k"))).withColumn("tasks", F.count("*").over(by))
 

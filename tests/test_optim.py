@@ -6,6 +6,7 @@ from helpers import coords
 from pyspark.sql import functions as F
 
 from blocksketch.functions.hashing import HashFamily
+from blocksketch.operators import straggler
 from blocksketch.operators.matrix import CoordMatrix
 from blocksketch.optim import barrier, linear
 from blocksketch.workloads import optimisation
@@ -112,3 +113,15 @@ def test_traces_have_a_falling_gap(spark, monkeypatch):
     for name in ("lp_trace_exact", "lp_trace_rbs_e1"):
         gap = [r.gap_pct for r in optimisation.QUERIES[name](spark, DATA).orderBy("iteration").collect()]
         assert None not in gap and gap[0] > gap[5] > gap[-1] > 0
+
+
+def test_iteration_time_has_a_log_for_each_iteration(spark):
+    runs = straggler.task_logs(spark, 2, 2, 20, [50, 51])
+    for seed in (50, 51):
+        one = straggler.task_log(spark, 2, 2, 20, seed)
+        assert sorted(runs.filter(f"run = {seed}").drop("run").collect()) == sorted(one.collect())
+    got = {r.e: r for r in optimisation.QUERIES["lp_iteration_time"](spark, None).collect()}
+    assert set(got) == {0, 1, 2, 4}
+    slowest = straggler.task_logs(spark, 5, 5, 20, list(range(50, 150))).groupBy("run").agg(F.max("t_ms").alias("t")).agg(F.sum("t")).first()[0] / 1000
+    assert got[0].compute_s == pytest.approx(slowest) and got[0].total_s == pytest.approx(slowest + 900)
+    assert got[0].compute_s > got[1].compute_s > got[2].compute_s > got[4].compute_s
