@@ -5,8 +5,8 @@ the presence of character n-grams of words (with marks at word ends); those that
 selected. A linear classifier is trained in NumPy on the risk  prior * E_P[l(+)] + max(0, E_U[l(-)] - prior * E_P[l(-)])  with the
 logistic loss: where the bracket falls below zero, a step climbs out of it instead of descending.
 
-Both samples are bounded, by `most_positive` and `most_unlabelled` documents drawn by a hash of their ids; everything else sees all
-rows. Words are cached in a worker, so a text costs a lookup per distinct word.
+Both samples of the fit are bounded, by `most_positive` and `most_unlabelled` documents drawn by a hash of their ids; everything else sees all
+rows, and so does the count of unlabelled documents with a feature, by which features are selected. Words are cached in a worker, so a text costs a lookup per distinct word.
 
 Defined results: null or empty text scores the classifier's value for no feature; without positives every score is 0.
 """
@@ -127,19 +127,28 @@ def learn(docs: DataFrame, labels: DataFrame, most_positive: int = 4000, most_un
     chosen = pick(toxic.filter("toxic = 1"), most_positive).withColumn("p", F.lit(1)).union(pick(docs, most_unlabelled).withColumn("p", F.lit(0)))
     sample = Kept(docs.sparkSession).keep(docs.join(F.broadcast(chosen), "doc_id").select("p", "text"))
 
-    def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        f, n = Features(bits), np.zeros((2, 1 << bits), np.int32)
-        for pdf in batches:
-            p = pdf["p"].to_numpy()
-            for k in range(0, len(pdf), 256):
-                for label, row in zip(p[k : k + 256], f.of(pdf["text"].tolist()[k : k + 256]), strict=True):
-                    n[label, row] += 1
-        at = np.flatnonzero(n.sum(0))
-        yield pd.DataFrame({"feature": at, "p": n[1, at].astype(np.int64), "u": n[0, at].astype(np.int64)})
-
-    size = dict(map(tuple, sample.groupBy("p").count().collect()))
-    counts = sample.mapInPandas(count, "feature long, p long, u long").groupBy("feature").agg(F.sum("p").alias("p"), F.sum("u").alias("u")).filter("p >= 4").toPandas()  # at most 2^bits rows
-    known = best(counts["feature"].to_numpy(np.int64), gains(counts["p"].to_numpy(), counts["u"].to_numpy(), size.get(1, 0), size.get(0, 0), prior, purity), select)
+    def count(texts: DataFrame, among: np.ndarray | None = None) -> DataFrame:
+        """(feature, n): documents with each feature; with `among`, features are places in it."""
+
+        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            f, n = Features(bits, among), np.zeros(1 << bits if among is None else len(among), np.int64)
+            for pdf in batches:
+                for k in range(0, len(pdf), 256):
+                    for row in f.of(pdf["text"].tolist()[k : k + 256]):
+                        n[row] += 1
+            at = np.flatnonzero(n)
+            yield pd.DataFrame({"feature": at, "n": n[at]})
+
+        return texts.select("text").mapInPandas(run, "feature long, n long").groupBy("feature").agg(F.sum("n").alias("n"))
+
+    # Only features of 4 positives can be selected; how many unlabelled documents have them is told by all training text.
+    in_p = count(sample.filter("p = 1")).filter("n >= 4").orderBy("feature").toPandas()  # at most 2^bits rows
+    among = in_p["feature"].to_numpy(np.int64)
+    in_u = np.zeros(len(among), np.int64)
+    if len(among):
+        found = count(docs, among).toPandas()
+        in_u[found["feature"].to_numpy(np.int64)] = found["n"].to_numpy()
+    known = best(among, gains(in_p["n"].to_numpy(), in_u, sample.filter("p = 1").count(), docs.count(), prior, purity), select)
 
     def rows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         f = Features(bits, known)

@@ -338,3 +338,17 @@ def test_stage_order():
     import corpus_pipeline
 
     assert [k for k, _ in corpus_pipeline.STAGES] == ["language_id", "near_duplicates", "personal_data", "mixing", "packing"]
+
+
+def test_toxicity_selects_features_by_all_unlabelled_text(spark, monkeypatch):
+    docs = spark.createDataFrame([(i, "poison brew" if i < 6 else "clean brew") for i in range(60)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, int(i < 6)) for i in range(12)], "doc_id long, toxic int")
+    seen, gains = [], toxicity.gains
+
+    def record(in_p, in_u, positives, unlabelled, *rest):
+        seen.append((sorted(set(in_u.tolist())), positives, unlabelled))
+        return gains(in_p, in_u, positives, unlabelled, *rest)
+
+    monkeypatch.setattr(toxicity, "gains", record)
+    toxicity.learn(docs, labels, most_unlabelled=5)
+    assert seen == [([6, 60], 6, 60)]
