@@ -1,6 +1,6 @@
 import duckdb
 import pytest
-from conftest import DATA
+from helpers import DATA
 
 import __spark_entry__ as entry
 from blocksketch import workloads

@@ -1,7 +1,7 @@
 import datetime as dt
 import os
 
-from conftest import DATA
+from helpers import DATA
 from pyspark.sql import functions as F
 
 from blocksketch import sources
