@@ -23,9 +23,9 @@ CHUNK = 64
 def rotate(turns: DataFrame, system: str = "system") -> DataFrame:
     """turns(conv_id, turn, role, text) to a row per turn and participant: conv_id, participant, turn, copy, role_out, name, rendered, start, end, trained."""
     t = turns.select("conv_id", F.col("turn").cast("long").alias("turn"), F.coalesce("role", F.lit("unknown")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
-    # A turn number that many rows share is spread by role and text, so that no chunk grows with repeats of one number.
+    # Rows that repeat in full are one row with a number of copies, so they add nothing to a chunk.
     t = t.groupBy("conv_id", "turn", "role", "text").agg(F.count("*").alias("copies"))
-    t = t.withColumn("chunk", F.floor(F.coalesce("turn", F.lit(-1)) / CHUNK))
+    t = t.withColumn("chunk", F.floor(F.col("turn") / CHUNK))  # null for a null turn, and so the first in order
     people = t.filter(F.col("role") != system).select("conv_id", F.col("role").alias("participant")).distinct()
     rows = t.join(people.withColumnRenamed("conv_id", "__conv"), F.col("conv_id").eqNullSafe(F.col("__conv"))).drop("__conv")
     own = F.col("role") == F.col("participant")

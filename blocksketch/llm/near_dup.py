@@ -1,6 +1,7 @@
 """Near-duplicate documents by fast similarity sketching, banding and exact verification.
 
-Texts with the same set of 5-word shingles form a class, told by a 128-bit sum over the set; one class member goes on. Its
+Texts with the same set of 5-word shingles form a class, told by a 128-bit sum over the set; one class member goes on, and its doc_id names
+the class. Should two classes have the same least doc_id (rows that share an id but not a text), the others get a name of their own beyond 2^62. Its
 sketch of `size` coordinates comes from rounds of hashed bin placement (see shingles.sketches); the first `bands * rows` of them
 give buckets. At similarity 0.75 a pair shares no bucket with probability (1 - 0.75^4)^32 = 5e-6.
 
@@ -11,10 +12,11 @@ could change no component are skipped, and no other: nothing is capped.
 
 Before its full sets are fetched, a pair is tested on packed sketches of 2 bits a coordinate: at most 253 of 1024 may differ, where a pair at
 0.75 expects 192 with deviation 12.5. Of the buckets that a pair shares, only the first yields it. Links are confirmed on full sets of
-64-bit shingle hashes.
+64-bit shingle hashes, whose words are hashed modulo two primes, so no structure of a text makes its hashes collide.
 
 Defined results: null, empty or blank text has an empty set (n_shingles 0), is linked with nothing and kept; a text of fewer than
-five words has one shingle. Rows that share a doc_id count as one document; a null doc_id keeps its row but names no component.
+five words has one shingle. Rows that share a doc_id and a text count once; with unlike texts each row follows its own text, and a component
+has the least doc_id of its rows. A null doc_id keeps its row but names no component.
 """
 
 from __future__ import annotations
@@ -32,13 +34,16 @@ from .shingles import Words, chunks, set_hash, sketches
 
 
 EVEN = 0x5555555555555555  # the lower bit of each pair of bits
+TEXTS = 512  # sketched at a time, so a worker holds a few MB of sketches whatever the lengths
+NAMED = 1 << 62
+SMALL = 100_000  # rows that may be broadcast
 
 
 def _features(size: int, width: int, bands: int, rows: int):
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         salt = seeds("band", bands)
         for pdf in batches:
-            for first, texts in chunks(pdf["text"]):
+            for first, texts in chunks(pdf["text"], rows=TEXTS):
                 h, doc = Words(texts).sets(width)
                 n = np.bincount(doc, minlength=len(texts))
                 c1, c2 = set_hash(h, doc, len(texts))
@@ -62,7 +67,8 @@ def _sets(width: int):
             for first, texts in chunks(pdf["text"]):
                 h, doc = Words(texts).sets(width)
                 ends = np.searchsorted(doc, np.arange(len(texts) + 1))
-                yield pd.DataFrame({"node": pdf["node"].to_numpy()[first : first + len(texts)], "members": [h[a:b].view(np.int64) for a, b in zip(ends, ends[1:], strict=False)]})
+                c1, c2 = set_hash(h, doc, len(texts))
+                yield pd.DataFrame({"doc_id": pdf["doc_id"].to_numpy()[first : first + len(texts)], "c1": c1, "c2": c2, "members": [h[a:b].view(np.int64) for a, b in zip(ends, ends[1:], strict=False)]})
 
     return run
 
@@ -74,9 +80,15 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
     ps = [f"p{k}" for k in range(size // 32)]
     schema = "doc_id long, n long, c1 long, c2 long, bands array<long>, prints array<long>, " + ", ".join(f"{p} long" for p in ps)
     feats = keep.keep(docs.mapInPandas(_features(size, width, bands, rows), schema))
-    classes = keep.keep(feats.filter("n > 0").groupBy("c1", "c2").agg(F.min("doc_id").alias("node")))
-    known = classes.filter("node is not null").withColumnsRenamed({"c1": "d1", "c2": "d2"})
-    reps = feats.join(known, (F.col("doc_id") == F.col("node")) & (F.col("c1") == F.col("d1")) & (F.col("c2") == F.col("d2")))
+    classes = keep.keep(feats.filter("n > 0").groupBy("c1", "c2").agg(F.min("doc_id").alias("first")))
+    again = classes.filter("first is not null").groupBy("first").agg(F.count("*").alias("c"), F.min(F.struct("c1", "c2")).alias("lead")).filter("c > 1").select(F.col("first").alias("f"), "lead")
+    again = keep.keep(again)
+    clash = again.count()
+    named = classes.join(F.broadcast(again) if clash <= SMALL else again, F.col("first") == F.col("f"), "left")
+    own = F.lit(NAMED) + F.xxhash64("c1", "c2").bitwiseAND(NAMED - 1)
+    classes = keep.keep(named.select("c1", "c2", "first", F.when(F.col("lead").isNull() | (F.struct("c1", "c2") == F.col("lead")), F.col("first")).otherwise(own).alias("node")))
+    known_classes = classes.filter("node is not null").withColumnsRenamed({"c1": "d1", "c2": "d2"})
+    reps = feats.join(known_classes, (F.col("doc_id") == F.col("first")) & (F.col("c1") == F.col("d1")) & (F.col("c2") == F.col("d2")))
     reps = keep.keep(reps.dropDuplicates(["node"]).select("node", "n", *ps, "bands", "prints"))
     each = reps.select("node", F.posexplode("bands").alias("band", "key"))
     shared = each.groupBy("band", "key").agg(F.count("*").alias("c")).filter("c > 1").drop("c")
@@ -94,8 +106,10 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
         pairs = pairs.select(F.col("a").alias("__a"), F.col("b").alias("__b")).distinct()
         return pairs.join(side("a"), F.col("__a") == F.col("a.node")).join(side("b"), F.col("__b") == F.col("b.node")).filter(alike).select(*pair)
 
-    sets = docs.filter("doc_id is not null").withColumnRenamed("doc_id", "node").join(nodes, "node", "left_semi")
-    sets = keep.keep(sets.mapInPandas(_sets(width), "node long, members array<long>").dropDuplicates(["node"]))
+    wanted = keep.keep(known_classes.join(nodes, "node", "left_semi"))
+    sets = docs.join(wanted.select(F.col("first").alias("doc_id")), "doc_id", "left_semi").mapInPandas(_sets(width), "doc_id long, c1 long, c2 long, members array<long>")
+    sets = sets.dropDuplicates(["doc_id", "c1", "c2"]).join(wanted, (F.col("doc_id") == F.col("first")) & (F.col("c1") == F.col("d1")) & (F.col("c2") == F.col("d2")))
+    sets = keep.keep(sets.select("node", "members"))
 
     def links(pairs: DataFrame) -> DataFrame:
         """Of pairs(a, b), those whose full sets are alike."""
@@ -140,8 +154,11 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
         pairs = side.alias("a").join(side.alias("b"), (F.col("a.key") == F.col("b.key")) & (F.col("a.node") < F.col("b.node")) & (F.col("a.comp") != F.col("b.comp")) & alike & earlier).select(*pair).distinct()
         labels = merged(links(pairs))
         break
+    if clash:  # a component's name is the least doc_id of its classes
+        least = classes.join(labels, "node").groupBy("component").agg(F.min("first").alias("name"))
+        labels = labels.join(least, "component").select("node", F.col("name").alias("component"))
     out = feats.select("doc_id", "n", "c1", "c2").join(classes, ["c1", "c2"], "left").join(labels, "node", "left")
-    component = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.coalesce("component", "node"))
+    component = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.coalesce("component", "first"))
     out = out.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 

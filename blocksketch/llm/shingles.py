@@ -16,14 +16,14 @@ _WORD = seeds("word", 16)
 _SET = seeds("set", 2)
 
 
-def chunks(texts, most: int = 1 << 21) -> Iterator[tuple[int, list[bytes]]]:
-    """The texts' bytes (null: empty) in runs of about `most` bytes, each with the index of its first text."""
+def chunks(texts, most: int = 1 << 19, rows: int = 1 << 14) -> Iterator[tuple[int, list[bytes]]]:
+    """The texts' bytes (null: empty) in runs of about `most` bytes and up to `rows` texts, each with the index of its first text."""
     first, held, size = 0, [], 0
     for i, t in enumerate(texts):
         b = t.encode("utf-8", "surrogatepass") if isinstance(t, str) else b""
         held.append(b)
         size += len(b)
-        if size >= most:
+        if size >= most or len(held) >= rows:
             yield first, held
             first, held, size = i + 1, [], 0
     if held:

@@ -8,7 +8,7 @@ import numpy as np
 import pytest
 
 from blocksketch.llm import chat, components, language_id, mixing, near_dup, packing, pii, quality, repeats, shingles, top_k, toxicity
-from blocksketch.llm.common import Kept
+from blocksketch.llm.common import Kept, Windows
 
 SPACE = r"[\x20\x09-\x0D]+"
 
@@ -122,6 +122,14 @@ def test_chat_edges(spark):
 # Against brute force ------------------------------------------------------------------------------------------------------
 
 
+def test_chat_null_turn_comes_before_negative_turns(spark):
+    rows = [(1, -200, "a", "low"), (1, None, "a", "none"), (1, 3, "b", "high")]
+    got = sorted(chat.rotate(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).filter("participant = 'a'").collect(), key=lambda r: r.start)
+    assert [r.turn for r in got] == [None, -200, 3]
+    empty = spark.createDataFrame([], "conv_id long, turn long, role string, text string")
+    assert chat.rotate(empty).count() == 0 and chat.dialogues(chat.rotate(empty)).count() == 0
+
+
 def test_chat_long_dialogue(spark):
     rows = [(1, k, "ab"[k % 2], "x" * (k % 7)) for k in range(500)]
     got = sorted(chat.rotate(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).filter("participant = 'a'").collect(), key=lambda r: r.turn)
@@ -163,6 +171,38 @@ def test_near_dup_against_all_pairs(spark):
         assert got == want
 
 
+def test_near_dup_rows_that_share_an_id(spark):
+    a, b = ([f"{x}{k}" for k in range(60)] for x in "ab")
+    text = lambda w, *more: " ".join([*w, *more])
+    rows = [(1, text(a)), (2, text(a, "x")), (1, text(b)), (3, text(b, "y")), (5, text(a[::-1])), (5, text(b[::-1])), (4, text(b[::-1], "z"))]
+    got = sorted((r.doc_id, r.component_id, r.kept) for r in near_dup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert got == [(1, 1, True), (1, 1, True), (2, 1, False), (3, 1, False), (4, 4, True), (5, 4, False), (5, 5, True)]
+
+
+def swapped(n):
+    """Two texts of n letters that polynomial hashes modulo a power of two cannot tell apart."""
+    one = "".join("ab"[bin(k).count("1") % 2] for k in range(n))
+    return one, one.translate(str.maketrans("ab", "ba"))
+
+
+def test_structured_words_and_lines_do_not_collide(spark):
+    one, two = swapped(4096)
+    got = near_dup.near_duplicates(spark.createDataFrame([(1, one), (2, two)], "doc_id long, text string"))
+    assert sorted(r.component_id for r in got.collect()) == [1, 2]
+    w = shingles.Words([f"{one}\n{two}\n{one}".encode()], lower=False)
+    assert quality.base_counts(w)["n_dup_lines"][0] == 1
+
+
+def test_windows_over_several_pages():
+    rng = np.random.default_rng(9)
+    data = rng.integers(97, 101, 2_300_000).astype(np.uint8)
+    for at in (1_048_400, 2_200_000):
+        data[at : at + 500] = data[100:600]
+    start = np.array([100, 1_048_400, 2_200_000, 101])
+    h = Windows(data).hash(start, start + 400)
+    assert h[0] == h[1] == h[2] != h[3] and Windows(data[:1000]).hash(start[:1], start[:1] + 400)[0] == h[0]
+
+
 def test_components_both_ways(spark):
     rng = random.Random(2)
     edges = [(rng.randrange(200), rng.randrange(200)) for _ in range(150)] + [(k, k + 1) for k in range(300, 340)]
@@ -181,26 +221,48 @@ def test_sketches_are_full_and_estimate(spark):
         assert abs((s[0] == s[1]).mean() - like) < (0.12 if n > 3 else 0.5)
 
 
+def test_columnwise_order_against_sorted_suffixes():
+    rng = np.random.default_rng(3)
+    rows = rng.integers(1, 4, (40, 9))
+    rows[:, 6:][rng.random((40, 3)) < 0.3] = 0
+    c = repeats.Collection(40, traced=True)
+    for k in range(8, -1, -1):
+        order, lcp = c.insert(rows[:, k])
+        suffix = [rows[d, k:].tolist() for d in range(40)]
+        for a, b, n in zip(order, order[1:], lcp[1:], strict=False):
+            same = 0
+            while same < len(suffix[a]) and suffix[a][same] == suffix[b][same] != 0:
+                same += 1
+            assert n == same
+        assert [suffix[d] for d in order] == sorted(suffix)
+        assert sorted(c.transform[-1].tolist()) == sorted(rows[:, k].tolist())
+
+
 def test_repeats_against_brute_force(spark):
     rng = random.Random(3)
     piece = lambda n: "".join(rng.choice("abcdeé \n") for _ in range(n))
     shared = [piece(60), piece(45), piece(200)]
     texts = [piece(rng.randint(0, 80)) + rng.choice(shared)[rng.randint(0, 9) :] + piece(rng.randint(0, 80)) for _ in range(40)]
     texts += [shared[0], shared[0] * 2, texts[0], "", None, "a" * 300, piece(5000)]
-    width = 100
+    width, passage = 100, 12
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
-    data = [(t or "").encode() for t in texts]
-    seen = collections.Counter(b[p : p + width] for b in data for p in range(len(b) - width + 1))
+
+    def cover(data, width):
+        seen = collections.Counter(b[p : p + width] for b in data for p in range(len(b) - width + 1))
+        for b in data:
+            gone = [False] * len(b)
+            for p in range(len(b) - width + 1):
+                if seen[b[p : p + width]] > 1:
+                    gone[p : p + width] = [True] * width
+            yield b, gone, sum(g and not (k and gone[k - 1]) for k, g in enumerate(gone))
+
+    said = list(cover([tuple(words(t)) for t in texts], passage))
     want = {}
-    for i, b in enumerate(data):
-        gone = [False] * len(b)
-        for p in range(len(b) - width + 1):
-            if seen[b[p : p + width]] > 1:
-                gone[p : p + width] = [True] * width
-        spans = sum(g and not (k and gone[k - 1]) for k, g in enumerate(gone))
-        want[i] = (len(b), sum(gone), spans, hashlib.sha256(bytes(c for c, g in zip(b, gone, strict=True) if not g)).hexdigest())
-    for most in (20_000, 1):  # the second settles single windows
-        got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in repeats.remove_repeats(df, width=width, gram=12, most=most).collect()}
+    for i, (b, gone, spans) in enumerate(cover([(t or "").encode() for t in texts], width)):
+        want[i] = (len(b), sum(gone), spans, hashlib.sha256(bytes(c for c, g in zip(b, gone, strict=True) if not g)).hexdigest(), sum(said[i][1]), said[i][2])
+    assert sum(w[1] > 0 for w in want.values()) > 10 and sum(w[4] > 0 for w in want.values()) > 10
+    for most in (20_000, 1):  # the second cuts all blocks down to single windows
+        got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256, r.n_passage_words, r.n_passages) for r in repeats.remove_repeats(df, width=width, gram=12, block=16 if most == 1 else 64, passage=passage, word_gram=4, most=most).collect()}
         assert got == want
 
 
