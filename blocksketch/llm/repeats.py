@@ -276,7 +276,7 @@ def _settled(content: DataFrame, s: Scheme, most: int, keep: Kept) -> DataFrame:
     return out.withColumnRenamed("first", "key")
 
 
-def repeated(docs: DataFrame, s: Scheme, keep: Kept, most: int = 20_000, few: int = 2_000_000) -> DataFrame:
+def repeated(docs: DataFrame, s: Scheme, keep: Kept, most: int = 5_000, few: int = 2_000_000) -> DataFrame:
     """docs(rid, text) to (rid, core, p0, cnt, mask), arrays of equal length: the blocks of each text with windows that start elsewhere too."""
     long = docs.filter(F.octet_length("text") >= s.least_bytes).select("rid", "text")
     every = keep.keep(long.mapInPandas(_blocks(s), "rid long, key long, x long, core int, p0 int, cnt int"))
@@ -341,7 +341,7 @@ def _cut(by_bytes: Scheme, by_words: Scheme):
     return run
 
 
-def remove_repeats(docs: DataFrame, width: int = 400, gram: int = 32, block: int = 64, passage: int = 50, word_gram: int = 8, most: int = 20_000, few: int = 2_000_000) -> DataFrame:
+def remove_repeats(docs: DataFrame, width: int = 400, gram: int = 32, block: int = 64, passage: int = 50, word_gram: int = 8, most: int = 5_000, few: int = 2_000_000) -> DataFrame:
     """docs(doc_id, text) to doc_id, n_bytes, n_removed, n_spans, kept_sha256, n_passage_words (words in runs of `passage` words that start elsewhere too),
     n_passages (runs of such words) and, where bytes were removed, kept_text (broken characters replaced)."""
     keep = Kept(docs.sparkSession)
