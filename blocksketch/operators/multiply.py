@@ -2,15 +2,11 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
-import numpy as np
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.hashing import HashFamily
-from . import coded, sketch
+from . import coded, kernel, sketch
 from .matrix import CoordMatrix
 from .straggler import Policy, survivors
 
@@ -28,12 +24,13 @@ def multiply(a: CoordMatrix, b: CoordMatrix) -> CoordMatrix:
 
 
 def band_multiply(a: CoordMatrix, b: CoordMatrix, height: int) -> CoordMatrix:
-    """Each task holds a band of `height` rows of A and of columns of B, whole along the contraction; bands are copied to every task that needs them."""
-    na, nb = -(-a.rows // height), -(-b.cols // height)
-    left = a.df.withColumn("bi", (F.col("i") / height).cast("int")).withColumn("bj", F.explode(F.sequence(F.lit(0), F.lit(nb - 1))))
-    right = b.df.select(F.col("i").alias("c"), F.col("c").alias("j"), F.col("v").alias("w")).withColumn("bj", (F.col("j") / height).cast("int")).withColumn("bi", F.explode(F.sequence(F.lit(0), F.lit(na - 1))))
-    out = left.join(right, ["bi", "bj", "c"]).groupBy("i", "j").agg(F.sum(F.col("v") * F.col("w")).alias("v"))
-    return CoordMatrix(out.select("i", F.col("j").alias("c"), "v"), a.rows, b.cols)
+    """Each task holds a band of `height` rows of A and one of columns of B, whole along the contraction; bands are copied to every task that needs them, and
+    a cell is finished where it is computed."""
+    one = F.lit(0).alias("k")
+    left = kernel.tiles(a.df, F.col("i") % height, F.col("c"), F.col("v"), (F.col("i") / height).cast("int").alias("bi"), one)
+    right = kernel.tiles(b.df, F.col("i"), F.col("c") % height, F.col("v"), one, (F.col("c") / height).cast("int").alias("bj"))
+    out = kernel.products(left, right, (height, None, height), (-(-a.rows // height), -(-b.cols // height)))
+    return CoordMatrix(out.select("i", F.col("j").alias("c"), F.col("total").alias("v")), a.rows, b.cols)
 
 
 def block_partials(a: CoordMatrix, b: CoordMatrix, block: int | tuple[int, int, int]) -> DataFrame:
@@ -54,23 +51,12 @@ def block_multiply(a: CoordMatrix, b: CoordMatrix, block: int | tuple[int, int,
 
 
 def dense_block_multiply(a: CoordMatrix, b: CoordMatrix, block: int) -> CoordMatrix:
-    """The two phases on dense blocks: each (bi, bj, k) is a matrix product in NumPy, sums follow by cell."""
-    left, right = a.to_blocks(block), b.to_blocks(block)
-    pairs = left.select("bi", F.col("bj").alias("k"), F.col("nrows").alias("p"), F.col("ncols").alias("q"), F.col("data").alias("x")).join(right.select(F.col("bi").alias("k"), "bj", F.col("ncols").alias("r"), F.col("data").alias("y")), "k")
-
-    def product(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
-            z = [(np.reshape(x, (p, q)) @ np.reshape(y, (q, r))).ravel() for x, y, p, q, r in zip(pdf["x"], pdf["y"], pdf["p"], pdf["q"], pdf["r"], strict=True)]
-            yield pd.DataFrame({"bi": pdf["bi"], "bj": pdf["bj"], "k": pdf["k"], "nrows": pdf["p"], "ncols": pdf["r"], "data": z})
-
-    partial = pairs.mapInPandas(product, "bi int, bj int, k int, nrows int, ncols int, data array<double>")
-
-    def total(pdf: pd.DataFrame) -> pd.DataFrame:
-        first = pdf.iloc[0]
-        return pd.DataFrame({"bi": [first.bi], "bj": [first.bj], "nrows": [first.nrows], "ncols": [first.ncols], "data": [np.sum(np.stack(pdf["data"]), axis=0)]})
-
-    cells = partial.groupBy("bi", "bj").applyInPandas(total, "bi int, bj int, nrows int, ncols int, data array<double>")
-    return CoordMatrix.from_blocks(cells, a.rows, b.cols, block)
+    """The two phases on blocks: each (bi, bj, k) is a dense product in NumPy, sums follow by cell."""
+    at = lambda c: (F.col(c) / block).cast("int")
+    left = kernel.tiles(a.df, F.col("i") % block, F.col("c") % block, F.col("v"), at("i").alias("bi"), at("c").alias("k"))
+    right = kernel.tiles(b.df, F.col("i") % block, F.col("c") % block, F.col("v"), at("i").alias("k"), at("c").alias("bj"))
+    out = kernel.products(left, right, (block,) * 3, (-(-a.rows // block), -(-b.cols // block)))
+    return CoordMatrix(out.select("i", F.col("j").alias("c"), F.col("total").alias("v")), a.rows, b.cols)
 
 
 def sketched_partials(left: DataFrame, right: DataFrame, b: int, half: bool = False) -> DataFrame:
@@ -82,31 +68,42 @@ def sketched_partials(left: DataFrame, right: DataFrame, b: int, half: bool = Fa
     return both.groupBy("bi", "bj", "k", "i", "j").agg(F.sum("v").alias("v"))
 
 
-def estimate(partials: DataFrame, chosen: DataFrame | None, slices: int, provisioned: int | None = None) -> DataFrame:
-    """(i, j, v_hat, n_survivors): the mean over each cell's surviving slices, or the sum over `provisioned`, the number planned for."""
+def sketched_tiles(s: DataFrame, b: int) -> DataFrame:
+    """A sketch (i, k, h, v) as blocks (bi, k, r, s, v) of b rows and b buckets."""
+    return kernel.tiles(s, F.col("i") % b, F.col("h"), F.col("v"), (F.col("i") / b).cast("int").alias("bi"), F.col("k").cast("int").alias("k"))
+
+
+def _estimated(totals: DataFrame, chosen: DataFrame | None, slices: int, provisioned: int | None) -> DataFrame:
+    """(i, j, v_hat, n_survivors) from sums by entry (bi, bj, i, j, total)."""
     if chosen is None:
-        kept = partials.withColumn("n_survivors", F.lit(slices).cast("long"))
+        named = totals.withColumn("n_survivors", F.lit(slices).cast("long"))
     else:
         number = chosen.groupBy("bi", "bj").agg(F.count("*").alias("n_survivors"))
-        kept = partials.join(F.broadcast(chosen.select("bi", "bj", "k")), ["bi", "bj", "k"], "left_semi").join(F.broadcast(number), ["bi", "bj"])
+        named = totals.join(F.broadcast(number) if number.count() <= kernel.SMALL else number, ["bi", "bj"])
     by = F.col("n_survivors") if provisioned is None else F.lit(provisioned)
-    return kept.groupBy("i", "j", "n_survivors").agg(F.sum("v").alias("total")).select("i", "j", (F.col("total").cast("double") / by).alias("v_hat"), "n_survivors")
+    return named.select("i", "j", (F.col("total").cast("double") / by).alias("v_hat"), "n_survivors")
 
 
-def rbs_multiply(a: CoordMatrix, b: CoordMatrix, width: int, family: HashFamily, log: DataFrame | None = None, policy: Policy | None = None, provisioned: int | None = None) -> DataFrame:
-    """Redundant block-sketch product: every slice is sketched and multiplied, each cell counts the slices that its policy waits for. A log covers
-    every cell; survivors number as many as tasks at most and are broadcast."""
-    partials = sketched_partials(sketch.stacked_sketch(a, width, family), sketch.sketch_right(b, width, family), width)
-    return estimate(partials, survivors(log, policy) if log is not None else None, family.slices, provisioned)
+def rbs_multiply(a: CoordMatrix, b: CoordMatrix, width: int, family: HashFamily, log: DataFrame | None = None, policy: Policy | None = None, provisioned: int | None = None, ahead: bool = False) -> DataFrame:
+    """Redundant block-sketch product: a task per cell and slice multiplies two blocks; each cell counts the slices that its policy waits for. A log covers
+    every cell. The others are multiplied too and then ignored, as stragglers are; `ahead` leaves them out before."""
+    chosen = survivors(log, policy) if log is not None else None
+    left = sketched_tiles(sketch.stacked_sketch(a, width, family), width)
+    r = sketch.sketch_right(b, width, family)
+    right = kernel.tiles(r, F.col("h"), F.col("j") % width, F.col("v"), F.col("k").cast("int").alias("k"), (F.col("j") / width).cast("int").alias("bj"))
+    totals = kernel.products(left, right, (width,) * 3, (-(-a.rows // width), -(-b.cols // width)), chosen=chosen, ahead=ahead)
+    return _estimated(totals, chosen, family.slices, provisioned)
 
 
-def rbs_gram(a: CoordMatrix, width: int, family: HashFamily, log: DataFrame | None = None, policy: Policy | None = None) -> DataFrame:
+def rbs_gram(a: CoordMatrix, width: int, family: HashFamily, log: DataFrame | None = None, policy: Policy | None = None, ahead: bool = False) -> DataFrame:
     """A times its transpose from one sketch: cells with bi <= bj are computed, the rest mirrored, so the estimate is symmetric."""
-    s = sketch.stacked_sketch(a, width, family)
-    right = s.select("k", "h", F.col("i").alias("j"), "v")
-    upper = estimate(sketched_partials(s, right, width, half=True), survivors(log, policy) if log is not None else None, family.slices)
-    below = upper.filter((F.col("i") / width).cast("int") < (F.col("j") / width).cast("int"))
-    return upper.union(below.select(F.col("j").alias("i"), F.col("i").alias("j"), "v_hat", "n_survivors"))
+    chosen = survivors(log, policy) if log is not None else None
+    left = sketched_tiles(sketch.stacked_sketch(a, width, family), width)
+    right = left.select("k", F.col("bi").alias("bj"), F.col("s").alias("r"), F.col("r").alias("s"), "v")
+    cells = -(-a.rows // width)
+    upper = _estimated(kernel.products(left, right, (width,) * 3, (cells, cells), half=True, chosen=chosen, ahead=ahead), chosen, family.slices, None)
+    mirrored = F.when((F.col("i") / width).cast("int") < (F.col("j") / width).cast("int"), F.array(F.struct("i", "j"), F.struct(F.col("j").alias("i"), F.col("i").alias("j")))).otherwise(F.array(F.struct("i", "j")))
+    return upper.select(F.explode(mirrored).alias("at"), "v_hat", "n_survivors").select("at.i", "at.j", "v_hat", "n_survivors")
 
 
 def rbs_parity_multiply(a: CoordMatrix, b: CoordMatrix, width: int, family: HashFamily, lost: list[tuple[int, int]] = ()) -> DataFrame:
