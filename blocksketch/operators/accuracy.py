@@ -92,14 +92,23 @@ def failure_rate(eps: DataFrame, bound: float, theta: float) -> DataFrame:
 
 
 def spectral_sq(a: CoordMatrix, rounds: int = 20) -> float:
-    """The largest eigenvalue of A A^T by power iteration with joins; the vector stays distributed."""
+    """The largest eigenvalue of A A^T by power iteration with joins. The vector goes through the driver up to 100000 columns, which cuts its lineage; longer
+    ones stay distributed."""
     x = a.df.select("c").distinct().withColumn("x", F.lit(1.0) + F.pmod(F.col("c"), F.lit(7)) / 10)
-    value = 0.0
+    value, held = 0.0, []
     for _ in range(rounds):
         y = a.matvec(x)
         z = a.t.matvec(y.select(F.col("i").alias("c"), F.col("y").alias("x"))).select(F.col("i").alias("c"), F.col("y").alias("x"))
         z = z.persist()
         value = float(z.agg(F.sqrt(F.sum(F.col("x") * F.col("x")))).first()[0])
-        x = a.df.sparkSession.createDataFrame(z.select("c", (F.col("x") / value).alias("x")).toPandas()) if a.cols <= 100_000 else z.select("c", (F.col("x") / value).alias("x"))
+        x = z.select("c", (F.col("x") / value).alias("x"))
+        if a.cols <= 100_000:
+            x = a.df.sparkSession.createDataFrame(x.toPandas())
+            z.unpersist()
+        else:
+            held.append(z)  # the next round reads it
+            while len(held) > 2:
+                held.pop(0).unpersist()
+    for z in held:
         z.unpersist()
     return value

@@ -46,7 +46,7 @@ def decodes(lost: Iterable[Cell], rows: int, cols: int) -> bool:
 
 
 def combination(lost: Iterable[Cell], rows: int, cols: int) -> dict[Cell, dict[Cell, int]]:
-    """Each data cell as a signed sum of cells that arrived."""
+    """Each lost data cell as a signed sum of cells that arrived."""
     out: dict[Cell, dict[Cell, int]] = {}
     for (r, c), by in peel(lost, rows, cols):
         line = [(r, x) for x in range(cols + 1)] if by == "row" else [(x, c) for x in range(rows + 1)]
@@ -60,8 +60,7 @@ def combination(lost: Iterable[Cell], rows: int, cols: int) -> dict[Cell, dict[C
             for src, w in out.get(cell, {cell: 1}).items():
                 terms[src] = terms.get(src, 0) + s * w
         out[(r, c)] = {k: w for k, w in terms.items() if w}
-    gone = set(lost)
-    return {(r, c): out[(r, c)] if (r, c) in gone else {(r, c): 1} for r in range(rows) for c in range(cols)}
+    return {(r, c): terms for (r, c), terms in out.items() if r < rows and c < cols}
 
 
 def parity_cells(a: CoordMatrix, b: CoordMatrix, height: int) -> DataFrame:
@@ -75,14 +74,20 @@ def parity_cells(a: CoordMatrix, b: CoordMatrix, height: int) -> DataFrame:
 
 
 def parity_multiply(a: CoordMatrix, b: CoordMatrix, height: int, lost: Iterable[Cell] = ()) -> CoordMatrix:
-    """The exact product although the cells in `lost` never arrive. Peeling runs on the grid's metadata; the arithmetic is a join and a sum."""
+    """The exact product although the cells in `lost` never arrive. Peeling runs on the metadata of lost cells; the arithmetic is a join and a sum: each
+    entry that arrived counts for its own cell and for the lost ones that need it."""
     rows, cols, lost = -(-a.rows // height), -(-b.cols // height), list(lost)
-    plan = [(r, c, sr, sc, w) for (r, c), terms in combination(lost, rows, cols).items() for (sr, sc), w in terms.items()]
+    needed: dict[Cell, list[tuple[int, int, int]]] = {}
+    for (r, c), terms in combination(lost, rows, cols).items():
+        for source, w in terms.items():
+            needed.setdefault(source, []).append((r, c, w))
     spark = a.df.sparkSession
-    plan_df = spark.createDataFrame(plan, "tr int, tl int, r int, l int, w long")
+    plan = spark.createDataFrame([(r, c, to) for (r, c), to in needed.items()], "r int, l int, to array<struct<tr:int,tl:int,w:bigint>>")
     gone = spark.createDataFrame(lost, "r int, l int")
-    arrived = parity_cells(a, b, height).join(F.broadcast(gone), ["r", "l"], "left_anti")
-    out = arrived.join(F.broadcast(plan_df), ["r", "l"]).groupBy("tr", "tl", "li", "lj").agg(F.sum(F.col("v") * F.col("w")).alias("v"))
+    arrived = parity_cells(a, b, height).join(F.broadcast(gone), ["r", "l"], "left_anti").join(F.broadcast(plan), ["r", "l"], "left")
+    own = F.when((F.col("r") < rows) & (F.col("l") < cols), F.array(F.struct(F.col("r").alias("tr"), F.col("l").alias("tl"), F.lit(1).cast("long").alias("w"))))
+    none = F.array().cast("array<struct<tr:int,tl:int,w:bigint>>")
+    out = arrived.select("li", "lj", "v", F.inline(F.concat(F.coalesce(own, none), F.coalesce("to", none)))).groupBy("tr", "tl", "li", "lj").agg(F.sum(F.col("v") * F.col("w")).alias("v"))
     out = out.select((F.col("tr").cast("long") * height + F.col("li")).alias("i"), (F.col("tl").cast("long") * height + F.col("lj")).alias("c"), "v")
     return CoordMatrix(out.filter("v <> 0"), a.rows, b.cols)
 

@@ -11,7 +11,7 @@ from pyspark.sql import types as T
 
 @dataclass(frozen=True)
 class CoordMatrix:
-    """rows x cols; df has i BIGINT, c BIGINT and a number v, one row for each (i, c) that is present."""
+    """rows x cols; df has i BIGINT, c BIGINT and a number v, one row for each (i, c) that is present. Sketches hash indices below 2^31 - 1."""
 
     df: DataFrame
     rows: int
@@ -29,7 +29,9 @@ class CoordMatrix:
         return CoordMatrix(out, *shape)
 
     def validate(self) -> CoordMatrix:
-        """Raises unless entries are non-null, within the shape and unique."""
+        """Raises unless entries are non-null, within the shape and unique, and the shape is one that the hash family tells apart."""
+        if max(self.rows, self.cols) > (1 << 31) - 1:
+            raise ValueError("an index beyond 2^31 - 1 would share its bucket and sign with another")
         bad = self.df.filter(f"i is null or c is null or v is null or i < 0 or c < 0 or i >= {self.rows} or c >= {self.cols}").limit(1).count()
         twice = self.df.groupBy("i", "c").count().filter("count > 1").limit(1).count()
         if bad or twice:
@@ -100,7 +102,7 @@ class CoordMatrix:
         br = br or b
         rows, cols = self.rows, self.cols
         key = self.df.select((F.col("i") / b).cast("int").alias("bi"), (F.col("c") / br).cast("int").alias("bj"), F.struct((F.col("i") % b).cast("int").alias("r"), (F.col("c") % br).cast("int").alias("s"), F.col("v").cast("double").alias("v")).alias("e"))
-        packed = key.groupBy("bi", "bj").agg(F.collect_list("e").alias("es"))
+        packed = key.groupBy("bi", "bj").agg(F.collect_list("e").alias("e")).select("bi", "bj", "e.r", "e.s", "e.v")
         packed = packed.withColumn("nrows", F.least(F.lit(b), F.lit(rows) - F.col("bi") * b).cast("int")).withColumn("ncols", F.least(F.lit(br), F.lit(cols) - F.col("bj") * br).cast("int"))
 
         def fill(batches):
@@ -109,11 +111,8 @@ class CoordMatrix:
 
             for pdf in batches:
                 data = []
-                for es, n, m in zip(pdf["es"], pdf["nrows"], pdf["ncols"], strict=True):
-                    x = np.zeros(n * m)
-                    for e in es:
-                        x[e["r"] * m + e["s"]] += e["v"]
-                    data.append(x)
+                for r, s, v, n, m in zip(pdf["r"], pdf["s"], pdf["v"], pdf["nrows"], pdf["ncols"], strict=True):
+                    data.append(np.bincount(r * m + s, v, n * m))
                 yield pd.DataFrame({"bi": pdf["bi"], "bj": pdf["bj"], "nrows": pdf["nrows"], "ncols": pdf["ncols"], "data": data})
 
         return packed.mapInPandas(fill, "bi int, bj int, nrows int, ncols int, data array<double>")
@@ -138,16 +137,25 @@ def generated(spark, rows: int, cols: int, value) -> CoordMatrix:
 
 
 def numbered(df: DataFrame, key: str, index: str = "c") -> DataFrame:
-    """A dictionary: each distinct value of key with its place in sorted order, from 0, without one task seeing all keys.
+    """A dictionary: each distinct value of key with its place in sorted order, from 0, without one task seeing all keys."""
+    return indexed(df.select(key).filter(F.col(key).isNotNull()).distinct(), index, key)
 
-    Ranges are sorted in parallel; their sizes, one number per task, give each range its start."""
-    keys = df.select(key).filter(F.col(key).isNotNull()).distinct().repartitionByRange(F.col(key)).sortWithinPartitions(key)
-    keys = keys.withColumn("__at", F.monotonically_increasing_id())
+
+def indexed(df: DataFrame, index: str, *order: str) -> DataFrame:
+    """All rows with their place, from 0, in the order of the columns named; rows that agree in these are told apart by all other columns, so only rows
+    that are equal in full may change places. Ranges are sorted in parallel; their sizes, one number per task, give each range its start."""
+    rest = [c for c in df.columns if c not in order]
+    placed = df.repartitionByRange(*map(F.col, order)).sortWithinPartitions(*order, *rest).withColumn("__at", F.monotonically_increasing_id())
     part, at = F.shiftrightunsigned("__at", 33), F.col("__at").bitwiseAND((1 << 33) - 1)
-    keys = keys.select(key, part.alias("__p"), at.alias("__at")).persist()
+    placed = placed.select(*df.columns, part.alias("__p"), at.alias("__at")).persist()
     start, sizes = 0, []
-    for p, n in sorted((r[0], r[1]) for r in keys.groupBy("__p").count().collect()):  # one row per task
+    for p, n in sorted((r[0], r[1]) for r in placed.groupBy("__p").count().collect()):  # one row per task
         sizes.append((p, start))
         start += n
     starts = df.sparkSession.createDataFrame(sizes, T.StructType([T.StructField("__p", T.LongType()), T.StructField("__s", T.LongType())]))
-    return keys.join(F.broadcast(starts), "__p").select(key, (F.col("__s") + F.col("__at")).alias(index))
+    return placed.join(F.broadcast(starts), "__p").select(*df.columns, (F.col("__s") + F.col("__at")).alias(index))
+
+
+def bounded(df: DataFrame, most: int = 1_000_000) -> DataFrame:
+    """df, to be broadcast if it has at most `most` rows."""
+    return F.broadcast(df) if df.count() <= most else df

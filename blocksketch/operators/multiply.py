@@ -97,11 +97,15 @@ def rbs_multiply(a: CoordMatrix, b: CoordMatrix, width: int, family: HashFamily,
 
 def rbs_gram(a: CoordMatrix, width: int, family: HashFamily, log: DataFrame | None = None, policy: Policy | None = None, ahead: bool = False) -> DataFrame:
     """A times its transpose from one sketch: cells with bi <= bj are computed, the rest mirrored, so the estimate is symmetric."""
-    chosen = survivors(log, policy) if log is not None else None
-    left = sketched_tiles(sketch.stacked_sketch(a, width, family), width)
+    return gram_of_sketch(sketch.stacked_sketch(a, width, family), a.rows, width, family.slices, survivors(log, policy) if log is not None else None, ahead)
+
+
+def gram_of_sketch(s: DataFrame, rows: int, width: int, slices: int, chosen: DataFrame | None = None, ahead: bool = False) -> DataFrame:
+    """(i, j, v_hat, n_survivors) from a stacked sketch (i, k, h, v) and the slices that count in each cell."""
+    left = sketched_tiles(s, width)
     right = left.select("k", F.col("bi").alias("bj"), F.col("s").alias("r"), F.col("r").alias("s"), "v")
-    cells = -(-a.rows // width)
-    upper = _estimated(kernel.products(left, right, (width,) * 3, (cells, cells), half=True, chosen=chosen, ahead=ahead), chosen, family.slices, None)
+    cells = -(-rows // width)
+    upper = _estimated(kernel.products(left, right, (width,) * 3, (cells, cells), half=True, chosen=chosen, ahead=ahead), chosen, slices, None)
     mirrored = F.when((F.col("i") / width).cast("int") < (F.col("j") / width).cast("int"), F.array(F.struct("i", "j"), F.struct(F.col("j").alias("i"), F.col("i").alias("j")))).otherwise(F.array(F.struct("i", "j")))
     return upper.select(F.explode(mirrored).alias("at"), "v_hat", "n_survivors").select("at.i", "at.j", "v_hat", "n_survivors")
 

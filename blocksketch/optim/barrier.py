@@ -11,7 +11,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.hashing import HashFamily, P
-from .linear import solve
+from ..operators.multiply import gram_of_sketch
+from .linear import dense, solve
 
 
 @dataclass
@@ -45,6 +46,23 @@ def _signs(index: np.ndarray, family: HashFamily, width: int) -> Iterator[tuple[
         yield ((u1 * index + u0) % P) % width, 1 - 2 * (((q + w0) % P) % 2)
 
 
+def gradient(problem: DataFrame, x: np.ndarray) -> np.ndarray:
+    """A^T (1/slack)."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        g = np.zeros(len(x))
+        for pdf in batches:
+            if not pdf.empty:
+                a = np.stack(pdf["row"].to_numpy())
+                g += a.T @ (1 / (pdf["b"].to_numpy() - a @ x))
+        yield pd.DataFrame({"c": np.arange(len(x)), "x": g})
+
+    got = problem.select("row", "b").mapInPandas(run, "c int, x double").groupBy("c").agg(F.sum("x").alias("x")).toPandas()
+    out = np.zeros(len(x))
+    out[got["c"]] = got["x"]
+    return out
+
+
 def _pass(problem: DataFrame, x: np.ndarray, family: HashFamily | None, width: int) -> tuple[np.ndarray, np.ndarray]:
     """Gradient part A^T (1/slack), and A^T D^2 A or the sketches of D A (slices x width x m), in one pass: each task adds up its rows, tasks' sums are added by key."""
     m = len(x)
@@ -74,6 +92,35 @@ def _pass(problem: DataFrame, x: np.ndarray, family: HashFamily | None, width: i
     return out[0], out[1:]
 
 
+def distributed_sketch(problem: DataFrame, x: np.ndarray, family: HashFamily, width: int) -> DataFrame:
+    """(i, k, h, v): the stacked sketch of (D A)^T. A task adds up one slice of one batch of rows at a time, width x m values, and sends the rows that it touched."""
+    m, slices, seed = len(x), family.slices, family.seed
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        drawn = HashFamily(slices, seed)
+        for pdf in batches:
+            if pdf.empty:
+                continue
+            a = np.stack(pdf["row"].to_numpy())
+            da = a / (pdf["b"].to_numpy() - a @ x)[:, None]
+            for k, (bucket, sign) in enumerate(_signs(pdf["i"].to_numpy(np.int64), drawn, width)):
+                touched, place = np.unique(bucket, return_inverse=True)
+                y = np.zeros((len(touched), m))
+                np.add.at(y, place, sign[:, None] * da)
+                yield pd.DataFrame({"k": np.int32(k), "h": touched.astype(np.int32), "row": list(y)})
+
+    rows = problem.select("i", "row", "b").mapInPandas(run, "k int, h int, row array<double>")
+    return rows.select("k", "h", F.posexplode("row").alias("i", "v")).groupBy(F.col("i").cast("long").alias("i"), "k", "h").agg(F.sum("v").alias("v"))
+
+
+def distributed_hessian(problem: DataFrame, x: np.ndarray, family: HashFamily, width: int, keep: np.ndarray) -> np.ndarray:
+    """The sketched Hessian by the block products of the sketched Gram, with a task per cell and slice; only its m x m entries reach the driver."""
+    m, cells = len(x), len(keep)
+    alive = [(i, j, int(k)) for i in range(cells) for j in range(i, cells) for k in np.flatnonzero(keep[i, j])]
+    chosen = problem.sparkSession.createDataFrame(alive, "bi int, bj int, k int")
+    return dense(gram_of_sketch(distributed_sketch(problem, x, family, width), m, width, family.slices, chosen, ahead=True), m, m)
+
+
 def survivor_sets(slices: int, cells: int, spare: int, shared: bool, seed: int) -> np.ndarray:
     """cells x cells x slices booleans, symmetric: the slices that count, after `spare` random losses per cell or for all alike."""
     rng = np.random.default_rng(seed)
@@ -96,17 +143,22 @@ def sketched_hessian(s: np.ndarray, slices: int, width: int, keep: np.ndarray) -
     return h / keep.sum(2)[np.ix_(cell, cell)]
 
 
-def barrier_lp(problem: DataFrame, c: np.ndarray, x0: np.ndarray, tau0: float = 32.0, growth: float = 2.0, every: int = 10, iters: int = 100, hessian: str = "exact", slices: int = 16, width: int = 16, spare: int = 0, shared: bool = True, seed: int = 42) -> tuple[np.ndarray, Trace]:
+def barrier_lp(problem: DataFrame, c: np.ndarray, x0: np.ndarray, tau0: float = 32.0, growth: float = 2.0, every: int = 10, iters: int = 100, hessian: str = "exact", slices: int = 16, width: int = 16, spare: int = 0, shared: bool = True, seed: int = 42, most: int = 4_000_000) -> tuple[np.ndarray, Trace]:
     """tau is multiplied by growth after every `every` iterations. A step is halved until it is feasible and lowers the barrier objective
-    (a batch of sizes is tried in one pass); each iteration draws a new slice family. State on the driver is m values and an m x m matrix."""
+    (a batch of sizes is tried in one pass); each iteration draws a new slice family. A sketch of up to `most` values (32 MB) is multiplied on the driver, which spares a small program
+    the shuffles; a larger one never leaves the tasks. Beside it the driver holds m values and an m x m matrix."""
     problem = rows_frame(problem).persist()
     x, tau, trace = np.array(x0, float), tau0, Trace()
     cells = -(-len(x) // width)
     for k in range(iters):
         family = HashFamily(slices + spare, seed + 1 + k) if hessian == "rbs" else None
-        g, h = _pass(problem, x, family, width)
+        if family is None or family.slices * width * len(x) <= most:
+            g, h = _pass(problem, x, family, width)
+        else:
+            g, h = gradient(problem, x), None
         if family is not None:
-            h = sketched_hessian(h, family.slices, width, survivor_sets(family.slices, cells, spare, shared, 1000 * seed + k))
+            keep = survivor_sets(family.slices, cells, spare, shared, 1000 * seed + k)
+            h = distributed_hessian(problem, x, family, width, keep) if h is None else sketched_hessian(h, family.slices, width, keep)
         grad = tau * c + g
         step, shift = solve(h, grad)
         sizes = 0.5 ** np.arange(24)

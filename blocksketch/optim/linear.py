@@ -16,9 +16,9 @@ from ..operators.sketch import stacked_sketch
 
 def dense(df: DataFrame, n: int, m: int, row: str = "i", col: str = "j", v: str = "v_hat") -> np.ndarray:
     """A small result (n x m) as an array on the driver."""
+    got = df.select(F.col(row).alias("i"), F.col(col).alias("j"), F.col(v).cast("double").alias("x")).toPandas()
     out = np.zeros((n, m))
-    for i, j, x in df.select(row, col, F.col(v).cast("double")).collect():
-        out[i, j] = x
+    out[got["i"], got["j"]] = got["x"]
     return out
 
 

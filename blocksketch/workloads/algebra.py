@@ -13,7 +13,7 @@ from pyspark.sql import types as T
 from .. import sources
 from ..functions.hashing import HashFamily, bucket_sql, sign_sql
 from ..operators import multiply, sketch
-from ..operators.matrix import CoordMatrix, identity, numbered
+from ..operators.matrix import CoordMatrix, bounded, identity, numbered
 from ..plans import expr
 from . import sql
 
@@ -161,7 +161,7 @@ def gram_roles(spark, d):
     t = sources.load(spark, d, "conversations").select("role", F.explode(F.split(F.lower("text"), "[ \\t\\n\\r]+")).alias("term")).filter("term <> ''")
     counted = t.groupBy("role", "term").agg(F.count("*").alias("v"))
     roles, terms = numbered(counted, "role", "i"), numbered(counted, "term", "c")
-    x = CoordMatrix.of(counted.join(F.broadcast(roles), "role").join(terms, "term"), "i", "c", "v")
+    x = CoordMatrix.of(counted.join(bounded(roles), "role").join(terms, "term"), "i", "c", "v")
     return multiply.multiply(x, x.t).df
 
 
@@ -169,7 +169,7 @@ def gram_roles(spark, d):
 def gram_tags(spark, d):
     t = sources.load(spark, d, "pages").select("page_id", F.explode(F.regexp_extract_all(F.lower("html"), F.lit("<([a-z0-9]+)"), 1)).alias("tag"))
     tags = numbered(t, "tag", "c")
-    x = CoordMatrix.of(t.join(F.broadcast(tags), "tag"), "page_id", "c")
+    x = CoordMatrix.of(t.join(bounded(tags), "tag"), "page_id", "c")
     return multiply.multiply(x.t, x).df
 
 

@@ -7,8 +7,8 @@ from pyspark.sql import functions as F
 
 from .. import sources
 from ..functions.hashing import HashFamily
-from ..operators import multiply
-from ..operators.matrix import CoordMatrix
+from ..operators import multiply, straggler
+from ..operators.matrix import CoordMatrix, indexed
 from ..optim import barrier, linear
 from . import sql
 from .algebra import doc_term
@@ -75,6 +75,18 @@ def lp_step_hessian_rbs(spark, d):
     return multiply.rbs_gram(a, 16, HashFamily(5)).select(F.col("i").alias("c1"), F.col("j").alias("c2"), F.col("v_hat").alias("h_hat"))
 
 
+_STEP_LOG = sql.log(4, 4, 6)
+
+
+@query(f"WITH {sql.family(6)}, {_ENTRIES}, f AS (SELECT c AS i, i AS c, CAST(floor(1000 * a / slack + 0.5) AS BIGINT) AS v FROM e WHERE a <> 0), {_STEP_LOG}, {sql.survivors('r <= n - 1')}, sa AS ({sql.sketch('f', 16)}), sb AS (SELECT i AS j, k, h, v FROM sa), {sql.estimate('sa', 'sb', 16)}, upper AS (SELECT * FROM guessed WHERE i // 16 <= j // 16) SELECT i AS c1, j AS c2, v_hat AS h_hat, n_survivors FROM upper UNION ALL SELECT j, i, v_hat, n_survivors FROM upper WHERE i // 16 < j // 16")
+def lp_step_hessian_rbs_e1(spark, d):
+    """The sketched Hessian of one step with the slowest of six slices ignored in each cell."""
+    s = _scaled(spark, d).filter("a <> 0").select(F.col("c").alias("i"), F.col("i").alias("c"), F.floor(1000 * F.col("a") / F.col("slack") + 0.5).cast("long").alias("v"))
+    a = CoordMatrix(s, 64, s.agg(F.max("c")).first()[0] + 1)
+    got = multiply.rbs_gram(a, 16, HashFamily(6), straggler.task_log(spark, 4, 4, 6), straggler.Policy("drop", 1))
+    return got.select(F.col("i").alias("c1"), F.col("j").alias("c2"), F.col("v_hat").alias("h_hat"), "n_survivors")
+
+
 #: Iterations of the registered programs, slices that count in a sketched Hessian, and after how many iterations tau doubles.
 ITERATIONS, SLICES, EVERY = 100, 20, 10
 
@@ -100,7 +112,7 @@ _lp("lp_trace_rbs_e1_per_cell", hessian="rbs", slices=SLICES, spare=1, shared=Fa
 @query()
 def lp_iteration_time(spark, d):
     """Modelled time of 100 iterations with 500 tasks each, by the number of tasks ignored per cell, with 9 s of invocation. Each iteration has a log of its own."""
-    from ..operators import costs, straggler
+    from ..operators import costs
 
     logs = straggler.ranked(straggler.task_logs(spark, 5, 5, 20, list(range(50, 50 + ITERATIONS))), ("run", *straggler.CELL))
     left = logs.withColumn("e", F.explode(F.array(*map(F.lit, (0, 1, 2, 4))))).filter("rank <= tasks - e")
@@ -127,18 +139,30 @@ FEATURES = ("l_quantity", "l_discount", "l_tax", "p_size", "p_retailprice")
 
 
 def _lines(spark, d):
-    """Features by line, numbered by a hash-free row number within sorted ranges, and the target in thousands."""
+    """Features by line, numbered by place in the order of the lines' keys, and the target in thousands."""
     line = sources.load(spark, d, "lineitem").join(sources.load(spark, d, "part").select("p_partkey", "p_size", "p_retailprice"), F.col("l_partkey") == F.col("p_partkey"))
-    x = line.select(F.monotonically_increasing_id().alias("i"), F.array(F.lit(1.0), F.col("l_quantity") / 50, F.col("l_discount") * 10, F.col("l_tax") * 10, F.col("p_size") / 50.0, F.col("p_retailprice") / 2000).alias("f"), (F.col("l_extendedprice") / 1000).alias("y"))
-    x = x.withColumn("i", F.pmod(F.xxhash64("i"), F.lit(2**31 - 2))).persist()
+    x = line.select("l_orderkey", "l_linenumber", F.array(F.lit(1.0), F.col("l_quantity") / 50, F.col("l_discount") * 10, F.col("l_tax") * 10, F.col("p_size") / 50.0, F.col("p_retailprice") / 2000).alias("f"), (F.col("l_extendedprice") / 1000).alias("y"))
+    x = indexed(x, "i", "l_orderkey", "l_linenumber").persist()
     e = x.select("i", F.posexplode("f").alias("c", "v")).select("i", F.col("c").cast("long").alias("c"), "v")
-    return CoordMatrix(e, 2**31 - 2, 6), x.select("i", "y"), x
+    return CoordMatrix(e, x.count(), 6), x.select("i", "y"), x
 
 
 def _named(spark, w, names):
     return spark.createDataFrame([(n, float(v)) for n, v in zip(names, w, strict=True)], "feature string, weight double")
 
 
+_LINES = "x AS (SELECT [CAST(1 AS DOUBLE), l_quantity / 50, l_discount * 10, l_tax * 10, p_size / CAST(50 AS DOUBLE), p_retailprice / 2000] AS f, l_extendedprice / 1000 AS y FROM lineitem JOIN part ON l_partkey = p_partkey)"
+
+
+@query(f"WITH {_LINES}, g AS (SELECT a, b, sum(f[a + 1] * CASE WHEN b = 6 THEN y ELSE f[b + 1] END) AS v FROM x, range(0, 6) AS r(a), range(0, 7) AS s(b) GROUP BY 1, 2) SELECT a AS c1, b AS c2, round(v / 1000, 5) AS v FROM g")
+def ls_normal_equations(spark, d):
+    """The Gram matrix of the features and, as column 6, their products with the target, in thousands."""
+    x, y, _ = _lines(spark, d)
+    g = multiply.multiply(x.t, x).df.select(F.col("i").alias("c1"), F.col("c").alias("c2"), "v")
+    t = x.df.join(y, "i").groupBy(F.col("c").alias("c1")).agg(F.sum(F.col("v") * F.col("y")).alias("v")).select("c1", F.lit(6).cast("long").alias("c2"), "v")
+    return g.union(t).select("c1", "c2", F.round(F.col("v") / 1000, 5).alias("v"))
+
+
 @query()
 def ls_exact(spark, d):
     x, y, held = _lines(spark, d)

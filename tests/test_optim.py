@@ -2,7 +2,7 @@ import itertools
 
 import numpy as np
 import pytest
-from helpers import coords
+from helpers import DATA, coords
 from pyspark.sql import functions as F
 
 from blocksketch.functions.hashing import HashFamily
@@ -125,3 +125,25 @@ def test_iteration_time_has_a_log_for_each_iteration(spark):
     slowest = straggler.task_logs(spark, 5, 5, 20, list(range(50, 150))).groupBy("run").agg(F.max("t_ms").alias("t")).agg(F.sum("t")).first()[0] / 1000
     assert got[0].compute_s == pytest.approx(slowest) and got[0].total_s == pytest.approx(slowest + 900)
     assert got[0].compute_s > got[1].compute_s > got[2].compute_s > got[4].compute_s
+
+
+def test_distributed_hessian_equals_the_drivers(spark):
+    rng = np.random.default_rng(4)
+    a = rng.normal(size=(60, 7))
+    problem = barrier.rows_frame(spark.createDataFrame([(i, r.tolist(), 5.0 + i / 10) for i, r in enumerate(a)], "i long, row array<double>, b double")).repartition(3)
+    x, family, width = rng.normal(size=7) / 20, HashFamily(5, 9), 3
+    keep = barrier.survivor_sets(5, 3, 1, False, 2)
+    g, h = barrier._pass(problem, x, family, width)
+    assert np.allclose(barrier.distributed_hessian(problem, x, family, width, keep), barrier.sketched_hessian(h, 5, width, keep))
+    assert np.allclose(barrier.gradient(problem, x), g)
+    how = {"iters": 3, "hessian": "rbs", "slices": 4, "width": 3, "spare": 1}
+    one, two = (barrier.barrier_lp(problem, np.ones(7) / 7, np.zeros(7), most=m, **how)[0] for m in (10**6, 0))
+    assert np.allclose(one, two)
+
+
+def test_lines_are_numbered_once(spark):
+    x, _, held = optimisation._lines(spark, DATA)
+    assert held.select("i").distinct().count() == held.count() == x.rows
+    f, y = np.array([r.f for r in held.orderBy("i").collect()]), np.array([r.y for r in held.orderBy("i").collect()])
+    got = [r.weight for r in optimisation.ls_exact(spark, DATA).collect()]
+    assert np.allclose(got, np.linalg.lstsq(f, y, rcond=None)[0], atol=1e-4)
