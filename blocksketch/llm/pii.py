@@ -1,8 +1,10 @@
 """Personal data: base patterns, and bootstrapped contextual extraction of identifiers that no base pattern finds. DataFrame functions only.
 
-Base spans (email, ip, card, phone) are the seeds. Seeds and candidate tokens (identifier-like: at least `least` characters with a digit or
-an at sign, outside base spans) are instances; the words around an occurrence are its lexical patterns: the two words before it, and the
-word before with the word after. On this bipartite graph scores spread in turns: a pattern's confidence is the score of its
+Base spans (email, ip, card, phone) are seeds, and so are tokens shaped like a secret (a run of `long` or more letters, digits and -_+/ with at least
+four letters and four digits, as keys and hashes are). Seeds and candidate tokens (identifier-like: at least `least` characters with a digit or
+an at sign, outside base spans) are instances; the words around an occurrence are its lexical patterns: the two words before it, the
+word before with the word after, and a label alone (a word before that ends in a colon or an equals sign). A secret-shaped token is no span by its shape, only
+by its context. On this bipartite graph scores spread in turns: a pattern's confidence is the score of its
 distinct instances over their number plus one, counted as 0 with fewer than `support` scored instances; an instance that is no seed
 scores the noisy-or of its patterns' confidences. After `rounds` turns, a candidate occurrence in a pattern of at least `confident`
 becomes a span of kind `id`.
@@ -76,7 +78,9 @@ def _matches(docs: DataFrame, least: int) -> DataFrame:
     word = lambda c: F.lower(F.try_element_at(F.filter(F.split(c, _GAP), lambda x: x != ""), F.lit(1)))
     two = F.when(F.size(before) >= 2, F.lower(F.concat_ws(" ", F.try_element_at(before, F.lit(-2)), F.try_element_at(before, F.lit(-1)))))
     one = F.when((F.size(before) >= 1) & word("after").isNotNull(), F.concat(F.lower(F.try_element_at(before, F.lit(-1))), F.lit(" _ "), word("after")))
-    return every.filter(ok).select("key", "kind", F.col("start").cast("long").alias("start"), F.col("end").cast("long").alias("end"), F.lower("m").alias("instance"), F.array_compact(F.array(two, one)).alias("patterns"))
+    last = F.try_element_at(before, F.lit(-1))
+    label = F.when(last.rlike("[:=]$"), F.concat(F.lower(last), F.lit(" _")))
+    return every.filter(ok).select("key", "kind", F.col("start").cast("long").alias("start"), F.col("end").cast("long").alias("end"), F.lower("m").alias("instance"), F.array_compact(F.array(two, one, label)).alias("patterns"))
 
 
 def _outside(spans: DataFrame) -> DataFrame:
@@ -89,12 +93,18 @@ def _outside(spans: DataFrame) -> DataFrame:
     return out.filter(base | ~F.col("hit")).drop("hit")
 
 
-def find(docs: DataFrame, rounds: int = 3, support: int = 3, confident: float = 0.75, least: int = 6) -> DataFrame:
+def secret(instance: str, long: int) -> str:
+    """SQL: whether a token is shaped like a secret."""
+    run = f"regexp_extract({instance}, '[a-z0-9+/_-]{{{long},}}', 0)"
+    return f"(length(regexp_replace({run}, '[^0-9]', '')) >= 4 and length(regexp_replace({run}, '[^a-z]', '')) >= 4)"
+
+
+def find(docs: DataFrame, rounds: int = 3, support: int = 3, confident: float = 0.75, least: int = 6, long: int = 20) -> DataFrame:
     """docs(key, t) to spans(key, kind, start, end): base spans (kind 0 to 3 in the order of KINDS) and discovered ones (4)."""
     keep = Kept(docs.sparkSession)
     spans = keep.keep(_outside(_matches(docs, least)))
     edges = keep.keep(spans.select("kind", "instance", F.explode("patterns").alias("pattern")).groupBy("pattern", "instance").agg(F.min("kind").alias("kind")))
-    scores = edges.select("instance", (F.col("kind") < 4).cast("double").alias("score")).groupBy("instance").agg(F.max("score").alias("score"))
+    scores = edges.select("instance", F.expr(f"kind < 4 or {secret('instance', long)}").cast("double").alias("score")).groupBy("instance").agg(F.max("score").alias("score"))
     seeds = keep.keep(scores)
     scores = seeds
     for _ in range(rounds):
@@ -120,7 +130,7 @@ def op9_bootstrapped_context(spark: SparkSession, sf_dir: str) -> DataFrame:
     per = per.select("key", *(f"n_{k}" for k in KINDS), F.concat_ws(",", "base.said").alias("base"), F.concat_ws(",", "every.said").alias("spans"))
     out = docs.select("doc_id", "key").join(per, "key", "left")
     zero = [F.coalesce(f"n_{k}", F.lit(0).cast("long")).alias(f"n_{k}") for k in KINDS]
-    return out.select("doc_id", *zero[:4], F.sha2(F.coalesce("base", F.lit("")), 256).alias("base_sha256"), F.coalesce("spans", F.lit("")).alias("spans"), zero[4])
+    return out.select("doc_id", *zero[:4], F.sha2(F.coalesce("base", F.lit("")), 256).alias("base_sha256"), F.coalesce("spans", F.lit("")).alias("spans"), zero[4], sum((F.coalesce(f"n_{k}", F.lit(0).cast("long")) for k in KINDS), F.lit(0).cast("long")).alias("n_spans"))
 
 
 def mask(spark: SparkSession, docs: DataFrame, sf_dir: str | None = None, most: int = 100_000) -> DataFrame:

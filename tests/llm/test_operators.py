@@ -323,6 +323,19 @@ def test_pii_discovers_by_context(spark):
     assert masked[8] == "my account mail: <ID> thanks" and masked[0] == "my account mail: <EMAIL> thanks" and masked[9] == plain[0]
 
 
+def test_pii_learns_the_context_of_secrets(spark):
+    rng = random.Random(10)
+    key = lambda n: "".join(rng.choice("0123456789abcdef") for _ in range(n - 8)) + "a1b2c3d4"
+    filler = lambda: "".join(rng.choice("aeiou") for _ in range(5))
+    known = [f'{filler()} token = "{key(40)}" {filler()}' for _ in range(10)] + [f"{filler()} secret: {key(32)} {filler()}" for _ in range(6)]
+    unseen = [f'{filler()} token = "abc-1234" {filler()}', f"{filler()} secret: hunter2 {filler()}"]
+    plain = [f"{filler()} {filler()} {key(40)} {filler()}", f"{filler()} model x100200 {filler()}", f"{filler()} room: 12b45c"]
+    df = spark.createDataFrame(list(enumerate([*known, *unseen, *plain])), "doc_id long, text string")
+    keyed = pii._keyed(df)
+    got = collections.Counter(r.doc_id for r in pii.find(keyed.select("key", "t")).filter("kind = 4").join(keyed.select("key", "doc_id"), "key").collect())
+    assert got == dict.fromkeys(range(len(known) + 2), 1)
+
+
 def test_packing_round_trip(spark, tmp_path):
     texts = ["Hello world, it's 2024! " * k for k in range(0, 60, 7)] + ["日本語 text 😀", "a<|endoftext|>b", "é" * 50, "  spaces   \n\n x"]
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
