@@ -37,6 +37,7 @@ EVEN = 0x5555555555555555  # the lower bit of each pair of bits
 TEXTS = 512  # sketched at a time, so a worker holds a few MB of sketches whatever the lengths
 NAMED = 1 << 62
 SMALL = 100_000  # rows that may be broadcast
+FEW = 2_000_000  # ids that may be broadcast, so that texts need no shuffle
 
 
 def _features(size: int, width: int, bands: int, rows: int):
@@ -90,11 +91,14 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
     known_classes = classes.filter("node is not null").withColumnsRenamed({"c1": "d1", "c2": "d2"})
     reps = feats.join(known_classes, (F.col("doc_id") == F.col("first")) & (F.col("c1") == F.col("d1")) & (F.col("c2") == F.col("d2")))
     reps = keep.keep(reps.dropDuplicates(["node"]).select("node", "n", *ps, "bands", "prints"))
+    slim = keep.keep(feats.select("doc_id", "n", "c1", "c2"))
+    keep.drop(feats)
     each = reps.select("node", F.posexplode("bands").alias("band", "key"))
     shared = each.groupBy("band", "key").agg(F.count("*").alias("c")).filter("c > 1").drop("c")
     cand = keep.keep(each.join(shared, ["band", "key"]).withColumn("key", F.xxhash64("band", "key")))
     nodes = cand.select("node").distinct()
     known = keep.keep(reps.join(nodes, "node", "left_semi").drop("bands"))
+    keep.drop(reps)
 
     differ = " + ".join(f"bit_count(((a.{p} ^ b.{p}) | shiftrightunsigned(a.{p} ^ b.{p}, 1)) & {EVEN}L)" for p in ps)
     alike = F.expr(f"least(a.n, b.n) * 100 >= greatest(a.n, b.n) * {percent} and {differ} <= {int(size * 0.248)}")
@@ -107,7 +111,8 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
         return pairs.join(side("a"), F.col("__a") == F.col("a.node")).join(side("b"), F.col("__b") == F.col("b.node")).filter(alike).select(*pair)
 
     wanted = keep.keep(known_classes.join(nodes, "node", "left_semi"))
-    sets = docs.join(wanted.select(F.col("first").alias("doc_id")), "doc_id", "left_semi").mapInPandas(_sets(width), "doc_id long, c1 long, c2 long, members array<long>")
+    ids = wanted.select(F.col("first").alias("doc_id")).distinct()
+    sets = docs.join(F.broadcast(ids) if ids.count() <= FEW else ids, "doc_id", "left_semi").mapInPandas(_sets(width), "doc_id long, c1 long, c2 long, members array<long>")
     sets = sets.dropDuplicates(["doc_id", "c1", "c2"]).join(wanted, (F.col("doc_id") == F.col("first")) & (F.col("c1") == F.col("d1")) & (F.col("c2") == F.col("d2")))
     sets = keep.keep(sets.select("node", "members"))
 
@@ -157,7 +162,7 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
     if clash:  # a component's name is the least doc_id of its classes
         least = classes.join(labels, "node").groupBy("component").agg(F.min("first").alias("name"))
         labels = labels.join(least, "component").select("node", F.col("name").alias("component"))
-    out = feats.select("doc_id", "n", "c1", "c2").join(classes, ["c1", "c2"], "left").join(labels, "node", "left")
+    out = slim.join(classes, ["c1", "c2"], "left").join(labels, "node", "left")
     component = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.coalesce("component", "first"))
     out = out.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
