@@ -174,5 +174,6 @@ def op10_fast_similarity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str | None = None) -> DataFrame:
     """Pipeline stage: of each group of near duplicates the document of the smallest id stays, with all its columns."""
-    gone = near_duplicates(docs).filter(~F.col("kept")).select("doc_id")
-    return docs.join(gone, "doc_id", "left_anti")
+    gone = Kept(spark).keep(near_duplicates(docs).filter(~F.col("kept")).select("doc_id").distinct())
+    few = gone.count() <= FEW
+    return docs.join(F.broadcast(gone) if few else gone, "doc_id", "left_anti").select(*docs.columns)
