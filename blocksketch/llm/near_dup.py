@@ -8,7 +8,8 @@ give buckets. At similarity 0.75 a pair shares no bucket with probability (1 - 0
 A bucket of n classes is not expanded into all its pairs. Each class is first compared with a few pivots of its buckets, drawn by
 hash, and the links found are merged into components. While that pays, further pivots are drawn from the buckets that hold more than
 one component. Then the pairs left over, those in one bucket but in different components, are all compared. So pairs that
-could change no component are skipped, and no other: nothing is capped.
+could change no component are skipped, and no other: nothing is capped. A bucket of more than TILE members is dealt over tiles by hash, and each
+pair of tiles is a join key of its own, so that no task compares a large bucket alone.
 
 Before its full sets are fetched, a pair is tested on packed sketches of 2 bits a coordinate: at most 253 of 1024 may differ, where a pair at
 0.75 expects 192 with deviation 12.5. Of the buckets that a pair shares, only the first yields it. Links are confirmed on full sets of
@@ -38,6 +39,7 @@ TEXTS = 512  # sketched at a time, so a worker holds a few MB of sketches whatev
 NAMED = 1 << 62
 SMALL = 100_000  # rows that may be broadcast
 FEW = 2_000_000  # ids that may be broadcast, so that texts need no shuffle
+TILE = 2048  # members of a bucket that are compared in one task
 
 
 def _features(size: int, width: int, bands: int, rows: int):
@@ -154,9 +156,14 @@ def near_duplicates(docs: DataFrame, percent: int = 75, width: int = 5, size: in
             keep.drop(rest)
             continue
         prints = [F.col("prints")[k].alias(f"f{k}") for k in range(bands // 2)]
-        side = rest.select("band", "key", "node", "comp").join(known.select("node", "n", *ps, *prints), "node")
+        tiles = per.select("key", F.ceil(F.col("c") / TILE).cast("int").alias("tiles")).filter("tiles > 1")
+        dealt = rest.select("band", "key", "node", "comp").join(tiles, "key", "left").withColumn("tiles", F.coalesce("tiles", F.lit(1)))
+        dealt = dealt.withColumn("own", F.expr("cast(pmod(xxhash64(node), tiles) as int)")).withColumn("other", F.explode(F.expr("sequence(0, tiles - 1)")))
+        dealt = dealt.select("band", "key", "node", "comp", "own", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"))
+        side = dealt.join(known.select("node", "n", *ps, *prints), "node")
         earlier = F.expr(" and ".join(f"(a.band <= {k} or (a.f{k // 2} ^ b.f{k // 2}) & {0xFFFFFFFF if k % 2 == 0 else 0x7FFFFFFF00000000}L <> 0{'' if k % 2 == 0 else f' or (a.f{k // 2} < 0) <> (b.f{k // 2} < 0)'})" for k in range(bands - 1)))
-        pairs = side.alias("a").join(side.alias("b"), (F.col("a.key") == F.col("b.key")) & (F.col("a.node") < F.col("b.node")) & (F.col("a.comp") != F.col("b.comp")) & alike & earlier).select(*pair).distinct()
+        met = F.expr("a.key = b.key and a.lo = b.lo and a.hi = b.hi and (a.own <> b.own or a.lo = a.hi)")  # a pair meets in one tile
+        pairs = side.alias("a").join(side.alias("b"), met & (F.col("a.node") < F.col("b.node")) & (F.col("a.comp") != F.col("b.comp")) & alike & earlier).select(*pair).distinct()
         labels = merged(links(pairs))
         break
     if clash:  # a component's name is the least doc_id of its classes

@@ -139,7 +139,7 @@ def test_chat_long_dialogue(spark):
         at = r.end
 
 
-def test_near_dup_against_all_pairs(spark):
+def test_near_dup_against_all_pairs(spark, monkeypatch):
     rng = random.Random(1)
     vocab = [f"w{i}" for i in range(300)]
     texts = []
@@ -166,7 +166,8 @@ def test_near_dup_against_all_pairs(spark):
                 a, b = root(i), root(j)
                 up[max(a, b)] = min(a, b)
     want = [(i, len(s), root(i)) for i, s in enumerate(sets)]
-    for rounds in (0, 4):
+    for rounds, tile in ((0, 2), (4, near_dup.TILE)):
+        monkeypatch.setattr(near_dup, "TILE", tile)
         got = sorted((r.doc_id, r.n_shingles, r.component_id) for r in near_dup.near_duplicates(df, rounds=rounds).collect())
         assert got == want
 
