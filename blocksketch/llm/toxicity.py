@@ -117,7 +117,7 @@ def train(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: float
     return fit(place(positive), place(unlabelled), known, prior, bits)
 
 
-def learn(docs: DataFrame, labels: DataFrame, most_positive: int = 4000, most_unlabelled: int = 8000, bits: int = 20, select: int = 1024, purity: float = 0.0) -> Classifier:
+def learn(docs: DataFrame, labels: DataFrame, most_positive: int = 4000, most_unlabelled: int = 8000, bits: int = 20, select: int = 1024, purity: float = 0.2) -> Classifier:
     """docs(doc_id, text) and labels(doc_id, toxic) of training rows only. Features are counted and selected where the documents are; the
     driver sees the samples' selected features only."""
     order = F.xxhash64("doc_id", F.lit(7))
