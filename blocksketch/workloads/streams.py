@@ -55,6 +55,14 @@ def stream_dedup(spark, d):
     return stream.finished(stream.deduplicated(sources.stream(spark, d)).select("event_id"), "append").agg(F.count("*").alias("n"), F.sum("event_id").alias("ids"))
 
 
+@query("SELECT c_mktsegment, event_type, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY c_mktsegment, event_type")
+def stream_static_join(spark, d):
+    """Events as they arrive meet the customer table; its size decides how, and state holds the counts only."""
+    customer = sources.load(spark, d, "customer").select("c_custkey", "c_mktsegment")
+    joined = sources.stream(spark, d).join(customer, F.col("user_id") == F.col("c_custkey"))
+    return stream.finished(joined.groupBy("c_mktsegment", "event_type").agg(F.count("*").alias("n")))
+
+
 @query()
 def stream_late(spark, d):
     """Day windows behind a watermark of one day: closed windows only, in append mode."""

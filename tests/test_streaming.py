@@ -42,3 +42,15 @@ def test_gate_emits_each_cell_once(spark, tmp_path):
     df.repartition(4, "k").write.parquet(str(tmp_path / "in"))
     got = stream.finished(stream.gate(spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in")), 3), "append").collect()
     assert [(r.bi, r.bj, r.n_survivors) for r in got] == [(0, 0, 3)]
+
+
+def test_stream_meets_a_table(spark):
+    import duckdb
+
+    from blocksketch.workloads import streams
+
+    con = duckdb.connect()
+    for t in ("events", "customer"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{DATA}/{t}.parquet'")
+    want = con.execute(streams.ORACLES["stream_static_join"]).fetchall()
+    assert sorted(tuple(r) for r in streams.stream_static_join(spark, DATA).collect()) == sorted(want) and want
