@@ -55,14 +55,16 @@ def gate(partials: DataFrame, needed: int) -> DataFrame:
 
 
 def finished(df: DataFrame, mode: str = "complete") -> DataFrame:
-    """All of a stream's present input worked through; the result as a table in memory."""
+    """All of a stream's present input worked through. Complete results are a table in memory; appended rows, as many as the input may have, go to files
+    that tasks write and read."""
     spark: SparkSession = df.sparkSession
     name = f"stream_{os.urandom(6).hex()}"
     place = spark.conf.get("spark.checkpoint.dir", None)
     folder = f"{place}/{name}" if place else tempfile.mkdtemp(prefix=name)
-    q = df.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", folder).trigger(availableNow=True).start()
+    out = df.writeStream.outputMode(mode).option("checkpointLocation", f"{folder}/log").trigger(availableNow=True)
+    q = out.format("parquet").start(f"{folder}/rows") if mode == "append" else out.format("memory").queryName(name).start()
     try:
         q.awaitTermination()
     finally:
         q.stop()
-    return spark.table(name)
+    return spark.read.schema(df.schema).parquet(f"{folder}/rows") if mode == "append" else spark.table(name)
