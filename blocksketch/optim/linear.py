@@ -54,15 +54,27 @@ def least_squares(x: CoordMatrix, y: DataFrame, ridge: float = 0.0, family: Hash
     return solve(gram(x, family, width) + ridge * np.eye(x.cols), moment(x, y))[0]
 
 
-def kernel_ridge(x: CoordMatrix, y: DataFrame, ridge: float, family: HashFamily | None = None, width: int = 64, most: int = 8_000) -> np.ndarray:
-    """Dual weights (K + ridge I)^-1 y with the linear kernel K = X X^T, exact or sketched on the feature side; n x n on the driver up to `most` rows."""
-    if x.rows > most:
-        raise ValueError("too many rows for a driver-side kernel")
-    k = dense(multiply(x, x.t).df, x.rows, x.rows, "i", "c", "v") if family is None else dense(rbs_gram(x, width, family), x.rows, x.rows)
-    t = np.zeros(x.rows)
-    for i, v in y.collect():
-        t[i] = v
-    return np.linalg.solve(k + ridge * np.eye(x.rows), t)
+def kernel_ridge(x: CoordMatrix, y: DataFrame, ridge: float, family: HashFamily | None = None, width: int = 64) -> np.ndarray:
+    """The dual weights as an array on the driver."""
+    out = np.zeros(x.rows)
+    got = kernel_weights(x, y, ridge, family, width).toPandas()
+    out[got["i"]] = got["weight"]
+    return out
+
+
+def kernel_weights(x: CoordMatrix, y: DataFrame, ridge: float, family: HashFamily | None = None, width: int = 64) -> DataFrame:
+    """(i, weight): dual weights (K + ridge I)^-1 y of all rows with the linear kernel K = Z Z^T, where Z is X or its sketch on the feature side (then K is
+    the mean over slices). K is never built: the inverse of I + Z^T Z / ridge, features by features on the driver, gives (y - Z (Z^T Z + ridge I)^-1 Z^T y) / ridge,
+    and rows stay in the tasks."""
+    if family is None:
+        z = x
+    else:
+        at = (F.col("k") * width + F.col("h")).cast("long")
+        z = CoordMatrix(stacked_sketch(x, width, family).select("i", at.alias("c"), (F.col("v") / float(np.sqrt(family.slices))).alias("v")), x.rows, family.slices * width)
+    w, _ = solve(gram(z) + ridge * np.eye(z.cols), moment(z, y))
+    inner = z.matvec(F.broadcast(x.df.sparkSession.createDataFrame([(c, float(v)) for c, v in enumerate(w)], "c long, x double"))).withColumnRenamed("y", "z")
+    targets = x.df.sparkSession.range(x.rows).withColumnRenamed("id", "i").join(y, "i", "left")
+    return targets.join(inner, "i", "left").select("i", ((F.coalesce("y", F.lit(0.0)) - F.coalesce("z", F.lit(0.0))) / ridge).alias("weight"))
 
 
 def glm_newton(x: CoordMatrix, y: DataFrame, link: Callable, rounds: int = 8, ridge: float = 1e-3, family_at: Callable[[int], HashFamily] | None = None, width: int = 64) -> tuple[np.ndarray, list[float]]:
@@ -122,4 +134,4 @@ def squared_hinge(m, y):
     return gap * gap, -2 * s * gap, F.when(gap > 0, F.lit(2.0)).otherwise(F.lit(1e-6))
 
 
-__all__ = ["dense", "gram", "glm_newton", "kernel_ridge", "least_squares", "logistic", "moment", "solve", "squared_hinge", "stacked_sketch"]
+__all__ = ["dense", "gram", "glm_newton", "kernel_ridge", "kernel_weights", "least_squares", "logistic", "moment", "solve", "squared_hinge", "stacked_sketch"]

@@ -193,7 +193,7 @@ def ridge_sketched(spark, d):
 @query()
 def kernel_ridge(spark, d):
     x = sources.embedding_dim(spark, d, None)
-    return _named(spark, linear.kernel_ridge(x, _indicator(spark, d), 1.0), map(str, range(x.rows)))
+    return linear.kernel_weights(x, _indicator(spark, d), 1.0).select(F.col("i").cast("string").alias("feature"), "weight")
 
 
 def _labelled(spark, d, top: int = 30):
