@@ -111,10 +111,12 @@ _lp("lp_trace_rbs_e1_per_cell", hessian="rbs", slices=SLICES, spare=1, shared=Fa
 
 @query()
 def lp_iteration_time(spark, d):
-    """Modelled time of 100 iterations with 500 tasks each, by the number of tasks ignored per cell, with 9 s of invocation. Each iteration has a log of its own."""
+    """Modelled time of an iteration per day of events, by the number of tasks ignored per cell, with 9 s of invocation. The log of an iteration has the
+    day's events as tasks, in 5 cells by their block of users."""
     from ..operators import costs
 
-    logs = straggler.ranked(straggler.task_logs(spark, 5, 5, 20, list(range(50, 50 + ITERATIONS))), ("run", *straggler.CELL))
+    tasks = sources.event_log(spark, d).select(F.col("bj").alias("run"), (F.col("bi") % 5).alias("bi"), F.lit(0).alias("bj"), "k", "t_ms", "status")
+    logs = straggler.ranked(tasks, ("run", *straggler.CELL))
     left = logs.withColumn("e", F.explode(F.array(*map(F.lit, (0, 1, 2, 4))))).filter("rank <= tasks - e")
     phases = left.groupBy("e", "run").agg(F.max("t_ms").alias("phase_ms"))
     invoke = costs.iteration_time(0)
