@@ -15,7 +15,8 @@ has symbols, each over all data. So candidates are cut out first, without loss:
    present order (the transform's column), by a stable distribution on it, and updates the common prefixes of neighbours. After the round
    of a window's first symbol, it is repeated if its common prefix with a neighbour spans it.
 4. Cores in over `most` contents are cut into two blocks of half the offsets, whose cores are longer by what their windows share; so hot groups spread over
-   tasks and are decided by the same rounds. Blocks of one window are repeated if they occur twice.
+   tasks and are decided by the same rounds. Halves that agree in everything and occur twice are repeated altogether; one of each goes on. All blocks of
+   one size are cut together, so the number of jobs grows with the logarithm of `block`.
 
 A collection holds up to `most` contents and those of one core more, so the columns of its rounds stay in a task's memory; nothing is written to a
 machine's own disk. Hashes have 62 bits and more and are taken modulo primes.
@@ -197,21 +198,17 @@ def _sides(rows: list[bytes], side: int, before: bool, words: bool) -> np.ndarra
     return np.asfortranarray(out)
 
 
-def _settle(s: Scheme, lo: int, hi: int, most: int):
-    """Rows (key, x, before, after), sorted by key within a task, to (x, mask), for the windows lo to hi - 1 of each content."""
+def _settle(s: Scheme, most: int):
+    """Rows (key, lo, hi, first, x, before, after), sorted by key within a task, to (first, x, mask), for the windows lo to hi - 1 of each content."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        size = 8 if s.words else 1
         held: pd.DataFrame | None = None
 
-        def done(pdf: pd.DataFrame) -> pd.DataFrame:
-            group = pdf["key"].factorize()[0]
-            # Of what stands before, the common part (from symbol hi - 1 on) is in the key; of what follows, the first lo symbols.
-            shared = (s.side - (hi - 1)) * size
-            before = [b[: len(b) - shared][-(hi - 1 - lo) * size :] if hi - 1 > lo else b"" for b in pdf["before"]]
-            after = [a[lo * size : (hi - 1) * size] for a in pdf["after"]]
-            mask = repeated_windows(group, _sides(before, hi - 1 - lo, True, s.words), _sides(after, hi - 1 - lo, False, s.words))
-            return pd.DataFrame({"first": pdf["first"], "x": pdf["x"], "mask": (mask << U64(lo)).view(np.int64)})
+        def done(pdf: pd.DataFrame) -> Iterator[pd.DataFrame]:
+            for windows, part in pdf.groupby(pdf["hi"] - pdf["lo"]):
+                sides = [_sides(part[c].to_list(), windows - 1, c == "before", s.words) for c in ("before", "after")]
+                mask = repeated_windows(part["key"].factorize()[0], *sides) << part["lo"].to_numpy(np.uint64)
+                yield pd.DataFrame({"first": part["first"], "x": part["x"], "mask": mask.view(np.int64)})
 
         for pdf in batches:
             pdf = pdf if held is None else pd.concat([held, pdf], ignore_index=True)
@@ -219,10 +216,10 @@ def _settle(s: Scheme, lo: int, hi: int, most: int):
                 held = pdf
                 continue
             open_ = pdf["key"] == pdf["key"].iloc[-1]  # this key may go on
-            yield done(pdf[~open_].reset_index(drop=True))
+            yield from done(pdf[~open_])
             held = pdf[open_].reset_index(drop=True)
         if held is not None and len(held):
-            yield done(held)
+            yield from done(held)
 
     return run
 
@@ -242,32 +239,40 @@ def _content(s: Scheme):
     return run
 
 
+def _halves(split: DataFrame, size: int) -> DataFrame:
+    """Each content twice, for either half of its windows. What all windows of the half share, before and after the core, goes into the key and only what
+    varies is left; a text that lacks the shared part holds none of these windows."""
+    mid = F.floor((F.col("lo") + F.col("hi")) / 2).cast("int")
+    half = F.explode(F.array(F.struct(F.col("lo").alias("a"), mid.alias("b")), F.struct(mid.alias("a"), F.col("hi").alias("b"))))
+    back, ahead, left = "(hi - b) * {0}", "(a - lo) * {0}", "(b - 1 - a) * {0}"
+    back, ahead, left = (x.format(size) for x in (back, ahead, left))
+    has = split.withColumn("half", half).select("*", "half.a", "half.b").filter(f"octet_length(before) >= {back} and octet_length(after) >= {ahead}")
+    rest = f"octet_length(before) - {back}"
+    return has.selectExpr(
+        f"xxhash64(key, a, b, substring(before, {rest} + 1, {back}), substring(after, 1, {ahead})) as key", "a as lo", "b as hi", "first", "x",
+        f"substring(before, greatest({rest} - {left}, 0) + 1, least({rest}, {left})) as before", f"substring(after, {ahead} + 1, {left}) as after",
+    )
+
+
 def _settled(content: DataFrame, s: Scheme, most: int, keep: Kept) -> DataFrame:
-    """content(key, x, before, after) to (key, x, mask): the column-wise rounds on every block, hot cores in halves."""
-    size = 8 if s.words else 1
-    ranges, done = {(0, s.block): content.withColumn("first", F.col("key"))}, []
-    while ranges:
-        (lo, hi), part = ranges.popitem()
-        if hi - lo == 1:  # a block of one window: its key names it in full
-            twice = keep.keep(part.groupBy("key").agg(F.count("*").alias("c")).filter("c > 1").select("key"))
-            done.append(part.join(twice, "key", "left_semi").select("first", "x", F.lit(1 << lo if lo < 63 else -(1 << 63)).cast("long").alias("mask")))
-            continue
-        hot = keep.keep(part.groupBy("key").agg(F.count("*").alias("c")).filter(F.col("c") > most).select("key"))
+    """content(key, x, before, after) to (key, x, mask): the column-wise rounds on every block, hot cores in halves, all of one size in the same jobs."""
+    wide = content.select("key", F.lit(0).alias("lo"), F.lit(s.block).alias("hi"), F.col("key").alias("first"), "x", "before", "after")
+    done = []
+    while True:
+        hot = keep.keep(wide.groupBy("key").agg(F.count("*").alias("c")).filter(F.col("c") > most).select("key"))
         n = hot.count()
-        cool = part
-        if n:
-            side = F.broadcast(hot) if n <= 100_000 else hot
-            cool = part.join(side, "key", "left_anti")
-            split = keep.keep(part.join(side, "key", "left_semi"))
-            mid = (lo + hi) // 2
-            for a, b in ((lo, mid), (mid, hi)):
-                # The windows a to b - 1 share `back` symbols before the core and a symbols after it; texts that lack them hold none of these windows.
-                back = s.side - (b - 1)
-                has = split.filter((F.octet_length("before") >= back * size) & (F.octet_length("after") >= a * size))
-                shared = F.xxhash64("first", F.lit(a), F.lit(b), F.substring("before", -back * size, back * size) if back else F.lit(b"").cast("binary"), F.substring("after", 1, a * size))
-                ranges[(a, b)] = has.withColumn("key", shared)
-        found = cool.select("key", "first", "x", "before", "after").repartition("key").sortWithinPartitions("key")
-        done.append(found.mapInPandas(_settle(s, lo, hi, most), "first long, x long, mask long"))
+        side = F.broadcast(hot) if n <= 100_000 else hot
+        cool = wide.join(side, "key", "left_anti") if n else wide
+        done.append(cool.repartition("key").sortWithinPartitions("key").mapInPandas(_settle(s, most), "first long, x long, mask long"))
+        if not n:
+            break
+        halves = keep.keep(_halves(wide.join(side, "key", "left_semi"), 8 if s.words else 1))
+        # Halves that agree in everything are repeated altogether; one of them stands for them against the others.
+        same = ["key", "lo", "hi", "before", "after"]
+        kinds = keep.keep(halves.groupBy(*same).agg(F.count("*").alias("n"), F.min(F.struct("first", "x")).alias("one")))
+        full = F.expr("shiftleft(shiftrightunsigned(-1L, 64 - (hi - lo)), lo)")
+        done.append(halves.join(kinds.filter("n > 1").select(*same), same, "left_semi").select("first", "x", full.alias("mask")))
+        wide = kinds.filter("hi - lo > 1").select("key", "lo", "hi", "one.first", "one.x", "before", "after")
     out = done[0]
     for more in done[1:]:
         out = out.unionByName(more)

@@ -267,6 +267,24 @@ def test_repeats_against_brute_force(spark):
         assert got == want
 
 
+def test_hot_cores_are_cut_in_as_many_steps_as_halvings(spark):
+    """A string in the middle of 300 texts, from 0 to 30 bytes longer on either side in common: no step for each of the 63 blocks that a block of 64 windows is cut into."""
+    rng = random.Random(9)
+    piece = lambda n: "".join(rng.choice("abcdefgh") for _ in range(n))
+    whole, width, most = piece(180), 100, 20
+    texts = [piece(70) + whole[rng.randint(0, 30) : 180 - rng.randint(0, 30)] + piece(70) for _ in range(300)]
+    s, keep = repeats.Scheme(width, 12, 64), Kept(spark)
+    df = spark.createDataFrame(list(enumerate(texts)), "rid long, text string").coalesce(2)
+    got = {r.rid: repeats.covered(len(texts[r.rid]), s, *(np.array(x) for x in (r.core, r.p0, r.cnt, r["mask"]))) for r in repeats.repeated(df, s, keep, most).collect()}
+    seen = collections.Counter(t[p : p + width] for t in texts for p in range(len(t) - width + 1))
+    for i, t in enumerate(texts):
+        gone = np.zeros(len(t), bool)
+        for p in range(len(t) - width + 1):
+            gone[p : p + width] |= seen[t[p : p + width]] > 1
+        assert np.array_equal(got.get(i, np.zeros(len(t), bool)), gone)
+    assert 12 < keep.n < 30
+
+
 def test_quality_counts_against_brute_force(spark):
     rng = random.Random(4)
     texts = [" ".join(rng.choice(["a", "bé", "c#", "|", "d\n", "\n"]) for _ in range(rng.randint(0, 120))) for _ in range(60)] + ["x y z " * 20, "l\nl\nm\n l\nl", "x%%\n\n\nx%%"]
