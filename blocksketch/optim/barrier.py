@@ -31,6 +31,33 @@ def rows_frame(problem: DataFrame) -> DataFrame:
     return problem.select(F.col("i").cast("long").alias("i"), F.col("row").cast("array<double>").alias("row"), F.col("b").cast("double").alias("b"))
 
 
+#: Values of a program that a task goes through in a pass.
+PER_TASK = 500_000
+
+
+def held(problem: DataFrame, m: int) -> DataFrame:
+    """The rows in memory, in no more tasks than their number asks for: an iteration goes through them twice, and many tasks of few rows cost more than the rows."""
+    n = problem.persist().count()
+    tasks = max(1, -(-n * m // PER_TASK))
+    if tasks >= problem.rdd.getNumPartitions():
+        return problem
+    few = problem.coalesce(tasks).persist()
+    few.count()
+    problem.unpersist()
+    return few
+
+
+def _summed(sums: DataFrame, by: str, values: int, tasks: int, most: int = 4_000_000) -> dict[int, np.ndarray]:
+    """sums(by, v ARRAY<DOUBLE>), `values` from each task, added up by key: by the driver while it gets at most `most` values so, else in tasks."""
+    if values * tasks > most:
+        each = sums.select(by, F.posexplode("v").alias("c", "x")).groupBy(by, "c").agg(F.sum("x").alias("x"))
+        sums = each.groupBy(by).agg(F.transform(F.array_sort(F.collect_list(F.struct("c", "x"))), lambda e: e["x"]).alias("v"))
+    out: dict[int, np.ndarray] = {}
+    for key, v in sums.select(by, "v").collect():
+        out[key] = out[key] + v if key in out else np.array(v, float)
+    return out
+
+
 def barrier_value(problem: DataFrame, x: np.ndarray) -> DataFrame:
     """One row: -sum ln(slack), infinite where a slack is not positive."""
     dot = F.aggregate(F.zip_with("row", F.array(*[F.lit(float(v)) for v in x]), lambda a, b: a * b), F.lit(0.0), lambda s, y: s + y)
@@ -63,7 +90,7 @@ def gradient(problem: DataFrame, x: np.ndarray) -> np.ndarray:
     return out
 
 
-def _pass(problem: DataFrame, x: np.ndarray, family: HashFamily | None, width: int) -> tuple[np.ndarray, np.ndarray]:
+def _pass(problem: DataFrame, x: np.ndarray, family: HashFamily | None, width: int, tasks: int | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Gradient part A^T (1/slack), and A^T D^2 A or the sketches of D A (slices x width x m), in one pass: each task adds up its rows, tasks' sums are added by key."""
     m = len(x)
 
@@ -84,11 +111,11 @@ def _pass(problem: DataFrame, x: np.ndarray, family: HashFamily | None, width: i
                     np.add.at(h, k * width + bucket, sign[:, None] * da)
         yield pd.DataFrame({"key": np.arange(len(h) + 1), "v": [g, *h]})
 
-    got = problem.mapInPandas(run, "key int, v array<double>")
-    got = got.select("key", F.posexplode("v").alias("c", "x")).groupBy("key", "c").agg(F.sum("x").alias("x")).toPandas()
-    size = int(got["key"].max()) + 1 if len(got) else 1
-    out = np.zeros((size, m))
-    out[got["key"], got["c"]] = got["x"]
+    rows = m if family is None else family.slices * width
+    got = _summed(problem.mapInPandas(run, "key int, v array<double>"), "key", (rows + 1) * m, tasks or problem.rdd.getNumPartitions())
+    out = np.zeros((rows + 1, m))
+    for key, v in got.items():
+        out[key] = v
     return out[0], out[1:]
 
 
@@ -147,13 +174,14 @@ def barrier_lp(problem: DataFrame, c: np.ndarray, x0: np.ndarray, tau0: float =
     """tau is multiplied by growth after every `every` iterations. A step is halved until it is feasible and lowers the barrier objective
     (a batch of sizes is tried in one pass); each iteration draws a new slice family. A sketch of up to `most` values (32 MB) is multiplied on the driver, which spares a small program
     the shuffles; a larger one never leaves the tasks. Beside it the driver holds m values and an m x m matrix."""
-    problem = rows_frame(problem).persist()
+    problem = held(rows_frame(problem), len(x0))
+    tasks = problem.rdd.getNumPartitions()
     x, tau, trace = np.array(x0, float), tau0, Trace()
     cells = -(-len(x) // width)
     for k in range(iters):
         family = HashFamily(slices + spare, seed + 1 + k) if hessian == "rbs" else None
         if family is None or family.slices * width * len(x) <= most:
-            g, h = _pass(problem, x, family, width)
+            g, h = _pass(problem, x, family, width, tasks)
         else:
             g, h = gradient(problem, x), None
         if family is not None:
@@ -162,7 +190,7 @@ def barrier_lp(problem: DataFrame, c: np.ndarray, x0: np.ndarray, tau0: float =
         grad = tau * c + g
         step, shift = solve(h, grad)
         sizes = 0.5 ** np.arange(24)
-        found = _objectives(problem, tau, c, x, step, sizes)
+        found = _objectives(problem, tau, c, x, step, sizes, tasks)
         now = found[0]
         ok = [i for i in range(len(sizes)) if np.isfinite(found[i + 1]) and found[i + 1] < now]
         size = float(sizes[ok[0]]) if ok else 0.0
@@ -219,7 +247,7 @@ def optimum(problem: DataFrame, c: np.ndarray, radius: float = 1e3, batch: int =
         problem.unpersist()
 
 
-def _objectives(problem: DataFrame, tau: float, c: np.ndarray, x: np.ndarray, step: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+def _objectives(problem: DataFrame, tau: float, c: np.ndarray, x: np.ndarray, step: np.ndarray, sizes: np.ndarray, tasks: int) -> np.ndarray:
     """tau c.x - sum ln(slack) at x and at each step size; infinite outside."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -231,11 +259,11 @@ def _objectives(problem: DataFrame, tau: float, c: np.ndarray, x: np.ndarray, st
             slack = (pdf["b"].to_numpy() - a @ x)[:, None] + (a @ step)[:, None] * np.concatenate([[0.0], sizes])
             with np.errstate(invalid="ignore", divide="ignore"):
                 total += np.where((slack > 0).all(0), -np.log(slack).sum(0), np.inf)
-        yield pd.DataFrame({"s": np.arange(len(total)), "v": total})
+        yield pd.DataFrame({"s": [0], "v": [total]})
 
-    got = problem.mapInPandas(run, "s int, v double").groupBy("s").agg(F.sum("v").alias("v")).toPandas().sort_values("s")
     at = np.concatenate([[0.0], sizes])
-    return tau * (c @ x - at * (c @ step)) + got["v"].to_numpy()
+    total = _summed(problem.mapInPandas(run, "s int, v array<double>"), "s", len(at), tasks).get(0, np.zeros(len(at)))
+    return tau * (c @ x - at * (c @ step)) + total
 
 
 def embedding_problem(embeddings: DataFrame, dims: int = 64) -> DataFrame:

@@ -130,10 +130,11 @@ def lp_lineitem(spark, d):
     brands = [r[0] for r in line.select("p_brand").distinct().orderBy("p_brand").collect()]
     wide = line.groupBy("l_suppkey").pivot("p_brand", brands).agg(F.sum("l_quantity"))
     row = F.array(*[F.coalesce(F.col(f"`{b}`"), F.lit(0.0)) for b in brands])
-    a = wide.select(F.col("l_suppkey").alias("i"), F.transform(row, lambda x: x / F.aggregate(row, F.lit(0.0), lambda s, y: s + y)).alias("row")).withColumn("b", F.lit(0.5))
+    a = wide.select(F.col("l_suppkey").alias("i"), F.transform(row, lambda x: x / F.aggregate(row, F.lit(0.0), lambda s, y: s + y)).alias("row")).withColumn("b", F.lit(0.5)).persist()
     n, m = a.count(), len(brands)
     box = spark.createDataFrame([(n + s * m + k, [float((1 - 2 * s) * (k == e)) for e in range(m)], 1.0) for s in (0, 1) for k in range(m)], "i long, row array<double>, b double")
     x, trace = barrier.barrier_lp(a.unionByName(box), -np.ones(m), np.zeros(m), iters=ITERATIONS, every=EVERY)
+    a.unpersist()
     return spark.createDataFrame([(b, float(v)) for b, v in zip(brands, x, strict=True)], "brand string, weight double")
 
 
