@@ -3,11 +3,15 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import functools
 import shutil
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 U64 = np.uint64
@@ -55,6 +59,22 @@ class Kept:
             p.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
+def released(run: Callable[..., Iterator]) -> Callable[..., Iterator]:
+    """`run`, a generator over a task's batches, after which the worker gives free memory back to the system: Spark keeps workers for later tasks, of any stage."""
+
+    @functools.wraps(run)
+    def task(batches):
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of glibc only
+            if trim:
+                trim(0)
+
+    return task
+
+
 def mix(h: np.ndarray) -> np.ndarray:
     """The splitmix64 finaliser, element by element, on uint64."""
     h = h ^ (h >> U64(30))

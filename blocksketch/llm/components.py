@@ -8,9 +8,10 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Kept
+from .common import Kept, released
 
 
+@released
 def forest(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     """Edges (u, v) of one task to a spanning forest of stars: each node with the smallest node it reaches here."""
     up: dict[int, int] = {}

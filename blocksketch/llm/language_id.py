@@ -21,14 +21,17 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import U64, mix, seeds, table
+from .common import U64, Kept, mix, released, seeds, table
 
 WORD = re.compile(r"[^\W\d_]+")
 ORDERS = (3, 4)
 _MUL = seeds("ngram", 8)
+KNOWN, LETTERS = 100_000, 4_000_000  # words that a task holds at a time, and their letters
+TEXTS = 256  # texts at a time
 
 
 def grams(words: list[str], orders: tuple[int, ...] = ORDERS) -> tuple[np.ndarray, np.ndarray]:
@@ -88,34 +91,38 @@ class Filters:
         return np.stack([(out[i // 64] >> U64(i % 64) & U64(1)).astype(bool) for i in range(len(self.languages))]) if self.languages else np.zeros((0, len(h)), bool)
 
 
-def _count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+@released
+def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Language, n-gram and number, summed within bounded memory. Words are counted first, as they repeat often."""
     counts: dict[str, Counter] = {}
+    seen = 0  # letters since the last flush, repeated ones too
 
     def flush():
         for lang, words in counts.items():
             h, owner = grams(list(words))
             n = np.fromiter(words.values(), np.int64, len(words))
             u, inverse = np.unique(h, return_inverse=True)
-            yield pd.DataFrame({"lang": lang, "gram": u.view(np.int64), "n": np.bincount(inverse, n[owner], len(u)).astype(np.int64)})
+            yield pa.RecordBatch.from_arrays([pa.repeat(pa.scalar(lang, pa.string()), len(u)), pa.array(u.view(np.int64)), pa.array(np.bincount(inverse, n[owner], len(u)).astype(np.int64))], ["lang", "gram", "n"])
         counts.clear()
 
-    for pdf in batches:
-        for i, (lang, text) in enumerate(zip(pdf["lang"], pdf["text"], strict=True)):
-            counts.setdefault(lang, Counter()).update(WORD.findall(text.lower()))
-            if i % 256 == 255 and sum(map(len, counts.values())) > 100_000:
+    for batch in batches:
+        for k in range(0, len(batch), TEXTS):
+            part = batch.slice(k, TEXTS)
+            for lang, text in zip(part["lang"].to_pylist(), part["text"].to_pylist(), strict=True):
+                counts.setdefault(lang, Counter()).update(WORD.findall(text.lower()))
+                seen += len(text)
+            if sum(map(len, counts.values())) > KNOWN or seen > LETTERS and sum(len(w) for words in counts.values() for w in words) > LETTERS:
                 yield from flush()
+                seen = 0
     yield from flush()
 
 
 def learn(train: DataFrame, bits: int = 20, hashes: int = 3, min_count: int = 2, share: float = 0.2, max_languages: int = 1024) -> Filters:
     """Filters from `train(text, lang)`; rows without text or lang are left out. Raises beyond max_languages, which bounds what is sent."""
-    from .common import Kept
-
     spark = train.sparkSession
     counted = Kept(spark)
     rows = train.select(F.col("text"), F.col("lang")).filter("text is not null and lang is not null")
-    totals_df = counted.keep(rows.mapInPandas(_count, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")))
+    totals_df = counted.keep(rows.mapInArrow(_count, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")))
     totals = totals_df.groupBy("lang").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "lang").limit(max_languages + 1).collect()
     if len(totals) > max_languages:
         raise ValueError(f"more than {max_languages} languages")
@@ -123,7 +130,8 @@ def learn(train: DataFrame, bits: int = 20, hashes: int = 3, min_count: int = 2,
     size = 1 << bits
     words = [np.zeros(size, np.uint64) for _ in range(max(1, -(-len(languages) // 64)))]
     if languages:
-        ids = spark.createDataFrame([(r.lang, i, float(r.n)) for i, r in enumerate(totals)], "lang string, id int, total double")
+        ids = pa.table({"lang": languages, "id": pa.array(range(len(totals)), pa.int32()), "total": [float(r.n) for r in totals]})
+        ids = spark.createDataFrame(ids)  # by Arrow: rows would go through Python workers of their own
         rated = totals_df.join(F.broadcast(ids), "lang").withColumn("rate", F.col("n") / F.col("total"))
         top = rated.groupBy("gram").agg(F.max("rate").alias("top"), F.collect_list(F.struct("id", "n", "rate")).alias("of"))
         one = top.select("gram", "top", F.explode("of").alias("x")).filter((F.col("x.n") >= min_count) & (F.col("x.rate") >= share * F.col("top")))
@@ -143,8 +151,8 @@ class Verdicts:
     """Language and score of texts, with a cache of words that belongs to one task."""
 
     def __init__(self, filters: Filters):
-        self.f, self.known = filters, {}
-        self.votes = np.zeros((0, len(filters.languages) + 2))  # per word: counts by language, number of n-grams, whether it has a letter
+        self.f, self.known, self.letters = filters, {}, 0
+        self.votes = np.zeros((0, len(filters.languages) + 2), np.int32)  # per word: counts by language, number of n-grams, whether it has a letter
 
     def of(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
         f, langs, n = self.f, len(self.f.languages), len(texts)
@@ -160,16 +168,17 @@ class Verdicts:
                 ids.append(k)
         if new:
             h, of = grams(new)
-            more = np.zeros((len(new), langs + 2))
+            more = np.zeros((len(new), langs + 2), np.int32)
             for j, m in enumerate(f.member(h)):
                 more[:, j] = np.bincount(of, m, len(new))
             more[:, langs] = np.bincount(of, minlength=len(new))
             more[:, langs + 1] = [any(map(str.isalpha, w)) for w in new]
             self.votes = np.concatenate([self.votes, more])
+            self.letters += sum(map(len, new))
         owner = np.concatenate(owner) if owner else np.zeros(0, np.int64)
         got = np.stack([np.bincount(owner, self.votes[ids, j], n) for j in range(langs + 2)]) if ids else np.zeros((langs + 2, n))
-        if len(self.known) > 300_000:
-            self.known, self.votes = {}, self.votes[:0]
+        if len(self.known) > KNOWN or self.letters > LETTERS:
+            self.known, self.letters, self.votes = {}, 0, self.votes[:0].copy()
         if not langs:
             return np.full(n, "und", object), np.zeros(n)
         total, letters = np.maximum(got[langs], 1), got[langs + 1] > 0
@@ -184,11 +193,12 @@ def predict(docs: DataFrame, filters: Filters) -> DataFrame:
     sent = docs.sparkSession.sparkContext.broadcast(filters)  # 2^bits cells of 8 bytes for each 64 languages
     schema = ", ".join([*(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in others), "lang_pred string", "score double"])
 
+    @released
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         v = Verdicts(sent.value)
         for pdf in batches:
-            for k in range(0, len(pdf), 512):
-                part = pdf.iloc[k : k + 512]
+            for k in range(0, len(pdf), TEXTS):
+                part = pdf.iloc[k : k + TEXTS]
                 pred, score = v.of(part["text"].tolist())
                 yield part[others].assign(lang_pred=pred, score=score)
 
@@ -212,12 +222,13 @@ def reject_unknown(spark: SparkSession, docs: DataFrame, sf_dir: str | None = No
     names = docs.columns
     sent = spark.sparkContext.broadcast(filters)
 
-    @F.pandas_udf("lang_pred string, score double")
-    def verdict(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+    @F.arrow_udf("lang_pred string, score double")
+    @released
+    def verdict(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         v = Verdicts(sent.value)
         for texts in batches:
-            got = [v.of(texts.tolist()[k : k + 512]) for k in range(0, len(texts), 512)] or [v.of([])]
-            yield pd.DataFrame({"lang_pred": np.concatenate([x[0] for x in got]), "score": np.concatenate([x[1] for x in got])})
+            got = [v.of(texts.slice(k, TEXTS).to_pylist()) for k in range(0, len(texts), TEXTS)] or [v.of([])]
+            yield pa.StructArray.from_arrays([pa.array(np.concatenate([x[0] for x in got]), pa.string()), pa.array(np.concatenate([x[1] for x in got]))], ["lang_pred", "score"])
 
     scored = docs.withColumn("__verdict", verdict("text"))
     return scored.filter((F.col("__verdict.lang_pred") != "und") & (F.col("__verdict.score") >= least)).select(*names)

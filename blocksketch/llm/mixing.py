@@ -18,6 +18,7 @@ Up to `most` cells are raked in NumPy on the driver, more by DataFrame rounds.
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -121,7 +122,7 @@ def probabilities(described_docs: DataFrame, rate: float = 0.5, temper: float =
     tokens = pdf["tokens"].to_numpy(float)
     pdf["weight"] = rake(tokens, index, goal, rounds, close)
     pdf["prob"] = scale(tokens, pdf["weight"].to_numpy(), rate)
-    return spark.createDataFrame(pdf, schema)
+    return spark.createDataFrame(pa.Table.from_pandas(pdf, preserve_index=False), schema)  # by Arrow: rows would go through Python workers of their own
 
 
 def drawn(docs: DataFrame, cells: DataFrame, seed: int = 1, most: int = 1_000_000) -> DataFrame:

@@ -29,7 +29,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import U64, Kept, mix, seeds, table
+from .common import U64, Kept, mix, released, seeds, table
 from .components import components
 from .shingles import Words, chunks, set_hash, sketches
 
@@ -43,6 +43,7 @@ TILE = 2048  # members of a bucket that are compared in one task
 
 
 def _features(size: int, width: int, bands: int, rows: int):
+    @released
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         salt = seeds("band", bands)
         for pdf in batches:
@@ -65,6 +66,7 @@ def _features(size: int, width: int, bands: int, rows: int):
 
 
 def _sets(width: int):
+    @released
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
             for first, texts in chunks(pdf["text"]):

@@ -21,7 +21,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import released, table
 
 VOCABULARY = "byte_bpe_50k.json"
 SIZE = 1024
@@ -85,6 +85,7 @@ def pack(docs: DataFrame, vocabulary: str = VOCABULARY, size: int = SIZE, separa
     if size < 1 or size & (size - 1):
         raise ValueError("size must be a power of two")
 
+    @released
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         enc = encoder(vocabulary)
         end = np.array([separator], np.uint32)

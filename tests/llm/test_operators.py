@@ -2,9 +2,12 @@ import collections
 import hashlib
 import random
 import re
+import subprocess
+import sys
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from blocksketch.llm import chat, components, language_id, mixing, near_dup, packing, pii, quality, repeats, shingles, top_k, toxicity
@@ -446,3 +449,56 @@ def test_toxicity_selects_features_by_all_unlabelled_text(spark, monkeypatch):
     monkeypatch.setattr(toxicity, "gains", record)
     toxicity.learn(docs, labels, most_unlabelled=5)
     assert seen == [([6, 60], 6, 60)]
+
+
+def test_language_id_holds_few_words_whatever_the_batches(spark, monkeypatch):
+    texts = [" ".join("abcdefghij"[int(d)] * 2 + "xyz"[k % 3] for d in str(k * 7919)) + f" w{'abcdefghij'[k % 10] * (k % 13)}" for k in range(3000)]
+    batches = [pa.RecordBatch.from_pydict({"text": texts[k : k + 100], "lang": ["en"] * 100}) for k in range(0, 3000, 100)]
+    longest = [pa.RecordBatch.from_pydict({"text": [c * 7000 for c in "abcdefghijkl"], "lang": ["en"] * 12})] * 2
+    monkeypatch.setattr(language_id, "KNOWN", 100)
+    monkeypatch.setattr(language_id, "LETTERS", 40_000)
+    total = lambda found: pa.Table.from_batches(found).group_by("gram").aggregate([("n", "sum")]).sort_by("gram").to_pydict()
+    some = list(language_id._count(iter(batches)))
+    assert len(some) > 1 and len(list(language_id._count(iter(longest)))) > 1
+    monkeypatch.setattr(language_id, "KNOWN", 10**9)
+    whole = list(language_id._count(iter(batches)))
+    assert len(whole) == 1 and total(some) == total(whole)
+
+    f = language_id.learn(spark.createDataFrame([(t, ("en", "de")[k % 2]) for k, t in enumerate(texts)], "text string, lang string"))
+    one, few = language_id.Verdicts(f), language_id.Verdicts(f)
+    for k in range(0, 3000, 50):
+        want = one.of(texts[k : k + 50])
+        monkeypatch.setattr(language_id, "KNOWN", 20)
+        got = few.of(texts[k : k + 50])
+        monkeypatch.setattr(language_id, "KNOWN", 10**9)
+        assert (got[0] == want[0]).all() and (got[1] == want[1]).all() and len(few.known) <= 20
+    few.of(["z" * 50_000])
+    assert not few.known and not len(few.votes)
+
+
+def test_workers_give_memory_back_after_a_task():
+    code = """
+import re
+from pathlib import Path
+from blocksketch.llm.common import released
+held = lambda: int(re.search(r"Pss_Anon:\\s+(\\d+)", Path("/proc/self/smaps_rollup").read_text())[1]) / 1024
+pins = []
+def run(batches):
+    for n in batches:
+        x = [bytes(3000) for _ in range(n)]
+        pins.extend(x[::100])
+        yield held()
+before = held()
+top = max(released(run)(iter([30000])))
+assert top > before + 80 and held() < before + 30, (before, top, held())
+"""
+    subprocess.run([sys.executable, "-c", code], check=True, timeout=60)
+
+
+def test_small_tables_of_a_stage_need_no_python_worker(spark, edge, monkeypatch):
+    made = []
+    real = type(spark).createDataFrame
+    monkeypatch.setattr(type(spark), "createDataFrame", lambda self, data, *a, **b: made.append(data) or real(self, data, *a, **b))
+    language_id.reject_unknown(spark, edge).count()
+    mixing.mix_sources(spark, edge).count()
+    assert len(made) == 2 and all(isinstance(x, pa.Table) for x in made)
